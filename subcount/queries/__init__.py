@@ -1,4 +1,6 @@
 """Registered queries and their SQL."""
 
-QUERIES: dict = {}
-ORACLES: dict[str, str] = {}
+from . import graph, relational
+
+QUERIES = graph.QUERIES | relational.QUERIES
+ORACLES = graph.ORACLES | relational.ORACLES
