@@ -24,6 +24,8 @@ def kwise(x: Column, coeffs: list[int], prime: int = P31) -> Column:
         for c in coeffs[1:]:
             h = ((h * x + F.lit(c)) % F.lit(prime)).cast("decimal(19,0)").cast("decimal(38,0)")
         return h.cast("long")
+    if len(coeffs) > 16:  # one fold instead of a deep tree of expressions
+        return F.aggregate(F.array(*map(F.lit, coeffs)).cast("array<long>"), F.lit(0).cast("long"), lambda h, c: (h * x + c) % prime)
     h = F.lit(coeffs[0]).cast("long")
     for c in coeffs[1:]:
         h = (h * x + F.lit(c)) % F.lit(prime)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -10,6 +11,24 @@ from ..storage import materialize
 from . import exact, peel
 
 
+LOCAL_ARCS = 1_000_000  # survivors of so few arcs (16 MB) are finished in memory
+
+
+def _finish(arc_table, k: int, wave: int) -> tuple[list, int]:
+    """The same waves of least degree over arcs in memory: (v, wave, core) rows and the largest core."""
+    ids, flat = np.unique(np.concatenate([arc_table["src"].to_numpy(), arc_table["dst"].to_numpy()]), return_inverse=True)
+    src, dst = np.split(flat, 2)
+    rows = []
+    while len(src):
+        deg = np.bincount(src, minlength=len(ids))
+        k = max(k, int(deg[deg > 0].min()))
+        low = (deg > 0) & (deg <= k)
+        rows += [(int(v), wave, k) for v in ids[low]]
+        keep = ~(low[src] | low[dst])
+        src, dst, wave = src[keep], dst[keep], wave + 1
+    return rows, k
+
+
 def waves(edges: DataFrame, factor: float | None = None) -> tuple[DataFrame, int]:
     """(v, wave, core) and the largest core. Without a factor: waves of least degree (exact degeneracy); with
     one: waves of degree at most factor times the survivors' mean degree, O(log n) of them."""
@@ -19,6 +38,10 @@ def waves(edges: DataFrame, factor: float | None = None) -> tuple[DataFrame, int
         n, least, total = deg.agg(F.count("*"), F.min("deg"), F.sum("deg")).first()
         if not n:
             return out if out is not None else edges.sparkSession.createDataFrame([], "v long, wave int, core long"), k
+        if factor is None and total <= LOCAL_ARCS:
+            rows, k = _finish(now.toArrow(), k, wave)
+            here = edges.sparkSession.createDataFrame(rows, "v long, wave int, core long")
+            return here if out is None else out.unionAll(here), k
         k = max(k, least) if factor is None else max(k, int(factor * total / n))
         bound = k if factor is None else max(least, factor * total / n)
         here = deg.where(F.col("deg") <= bound).select("v", F.lit(wave).alias("wave"), F.lit(k).cast("long").alias("core"))

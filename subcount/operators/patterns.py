@@ -258,6 +258,8 @@ def _heads(lists: Lists, s: int) -> DataFrame:
 def count(edges: DataFrame, name: str | Pattern, oriented: DataFrame | None = None) -> DataFrame:
     """One row: copies."""
     p = NAMED[name] if isinstance(name, str) else name
+    if p.n > 2 and len(p.edges) == p.n - 1 and all(0 in e for e in p.edges):
+        return star(edges, p.n - 1)
     g = oriented if oriented is not None else materialize(orient.low_outdegree(edges))
     lists, parts = Lists(g), []
     for o in orientations(p):

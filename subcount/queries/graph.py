@@ -50,8 +50,8 @@ add("tri_list_trade", on("trade", exact.enumerate_triangles), sql.on("trade", sq
 add("tri_list_rounds_corun", on("corun", lambda e: exact.enumerate_by_rounds(e, BOUND5)), sql.on("corun", sql.TRIANGLES, select="SELECT a, b, c FROM t"))
 _low = "(SELECT v FROM g WHERE deg <= 60)"
 add("tri_at_low_copurchase", on("copurchase", lambda e: planner.triangles_at(e, model.degrees(e).where("deg <= 60"))), sql.on("copurchase", sql.ARCS, sql.DEGREES, sql.TRIANGLES, select=f"SELECT a, b, c FROM t WHERE a IN {_low} OR b IN {_low} OR c IN {_low}"))
-_TV = "x AS (SELECT v, count(*) AS triangles FROM (SELECT a AS v FROM t UNION ALL SELECT b FROM t UNION ALL SELECT c FROM t) GROUP BY v)"
-_CL = "y AS (SELECT g.v, deg, coalesce(triangles, 0) AS triangles, CASE WHEN deg > 1 THEN round(2 * coalesce(triangles, 0) / (deg * (deg - 1)), 6) ELSE 0.0 END AS clustering FROM g LEFT JOIN x ON x.v = g.v)"
+_TV = "tv AS (SELECT v, count(*) AS triangles FROM (SELECT a AS v FROM t UNION ALL SELECT b FROM t UNION ALL SELECT c FROM t) GROUP BY v)"
+_CL = "y AS (SELECT g.v, deg, coalesce(triangles, 0) AS triangles, CASE WHEN deg > 1 THEN round(2 * coalesce(triangles, 0) / (deg * (deg - 1)), 6) ELSE 0.0 END AS clustering FROM g LEFT JOIN tv ON tv.v = g.v)"
 add("tri_per_vertex_copart30", on("copart30", exact.per_vertex), sql.on("copart30", sql.ARCS, sql.DEGREES, sql.TRIANGLES, _TV, _CL, select="SELECT v, deg, triangles, clustering FROM y"))
 add("tri_per_edge_corun", on("corun", exact.per_edge), sql.on("corun", sql.TRIANGLES, select="SELECT src, dst, coalesce(n, 0) AS support FROM e LEFT JOIN (SELECT x, y, count(*) AS n FROM (SELECT a AS x, b AS y FROM t UNION ALL SELECT a, c FROM t UNION ALL SELECT b, c FROM t) GROUP BY ALL) ON x = src AND y = dst"))
 add("clustering_copart30", on("copart30", exact.clustering), sql.on("copart30", sql.ARCS, sql.DEGREES, sql.TRIANGLES, _TV, _CL, select='SELECT CAST(sum(deg * (deg - 1) // 2) AS BIGINT) AS wedges, CAST(sum(triangles) // 3 AS BIGINT) AS triangles, round(avg(clustering), 6) AS mean_local, round(sum(triangles) / sum(deg * (deg - 1) // 2), 6) AS "global" FROM y'))

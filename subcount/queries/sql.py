@@ -7,8 +7,8 @@ from ..operators import hashing, peel
 _KEYED = """d AS (SELECT key, row_number() OVER (ORDER BY key) AS id FROM (SELECT a AS key FROM k UNION SELECT b FROM k)),
 e AS MATERIALIZED (SELECT DISTINCT least(x.id, y.id) AS src, greatest(x.id, y.id) AS dst FROM k JOIN d x ON x.key = a JOIN d y ON y.key = b WHERE x.id <> y.id)"""
 _SELF = "e AS MATERIALIZED (SELECT DISTINCT x.v AS src, y.v AS dst FROM x JOIN x y ON x.k = y.k AND x.v < y.v)"
-_SHARED = """t AS (SELECT DISTINCT doc_id AS v, line AS k FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 20),
-x AS (SELECT * FROM t WHERE k IN (SELECT k FROM t GROUP BY k HAVING count(*) BETWEEN 2 AND 50))"""
+_SHARED = """l0 AS (SELECT DISTINCT doc_id AS v, line AS k FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 20),
+x AS (SELECT * FROM l0 WHERE k IN (SELECT k FROM l0 GROUP BY k HAVING count(*) BETWEEN 2 AND 50))"""
 _LO = "lineitem JOIN orders ON l_orderkey = o_orderkey"
 
 EDGES = {
@@ -28,11 +28,11 @@ e AS MATERIALIZED (SELECT DISTINCT x.vec_id AS src, y.vec_id AS dst FROM v x JOI
     "lexical": f"""w AS (SELECT [lower(x) FOR x IN string_split_regex(text, '[^A-Za-z]+') IF x <> ''] AS w FROM conversations),
 k AS (SELECT a, b FROM (SELECT w[i] AS a, w[i + 1] AS b FROM (SELECT w, unnest(range(1, len(w))) AS i FROM w)) WHERE a <> b), {_KEYED}""",
     "sharedline": f"{_SHARED}, {_SELF}",
-    "quality": f"""{_SHARED}, g AS (SELECT DISTINCT doc_id FROM labels WHERE quality = 1),
-e AS MATERIALIZED (SELECT DISTINCT x.v AS src, y.v AS dst FROM x JOIN x y ON x.k = y.k AND x.v < y.v WHERE x.v IN (SELECT doc_id FROM g) AND y.v IN (SELECT doc_id FROM g))""",
-    "benchhit": """t AS (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 20),
+    "quality": f"""{_SHARED}, q0 AS (SELECT DISTINCT doc_id FROM labels WHERE quality = 1),
+e AS MATERIALIZED (SELECT DISTINCT x.v AS src, y.v AS dst FROM x JOIN x y ON x.k = y.k AND x.v < y.v WHERE x.v IN (SELECT doc_id FROM q0) AND y.v IN (SELECT doc_id FROM q0))""",
+    "benchhit": """l0 AS (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 20),
 b AS (SELECT DISTINCT item_id, line FROM (SELECT item_id, unnest(string_split(text, chr(10))) AS line FROM benchmark) WHERE length(line) >= 20),
-e AS MATERIALIZED (SELECT DISTINCT least(doc_id * 2, item_id * 2 + 1) AS src, greatest(doc_id * 2, item_id * 2 + 1) AS dst FROM t JOIN b ON t.line = b.line)""",
+e AS MATERIALIZED (SELECT DISTINCT least(doc_id * 2, item_id * 2 + 1) AS src, greatest(doc_id * 2, item_id * 2 + 1) AS dst FROM l0 JOIN b ON l0.line = b.line)""",
     "hyperlink": f"k AS (SELECT 'page ' || page_id AS a, 'href ' || unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS b FROM pages), {_KEYED}",
     "geo": """e AS MATERIALIZED (SELECT DISTINCT least(a, b) AS src, greatest(a, b) AS dst FROM (
 SELECT CAST(n_regionkey AS BIGINT) * 4 AS a, CAST(n_nationkey AS BIGINT) * 4 + 1 AS b FROM nation
