@@ -9,8 +9,10 @@ Steps, none of which emits all pairs of a group:
 1. One Arrow pass makes per document the set size, a 128-bit hash of its set and the band keys.
 2. Documents of equal sets form a class; only its smallest id goes on.
 3. In each band bucket members are compared to one hub, then, in buckets that still hold several
-   components, to another hub, and only what is left there is compared across components. Links are
-   confirmed on full sets (64-bit shingle hashes). Members of one component need no link between them.
+   components, to another hub. Members of one component need no link between them, so only what is left
+   in a bucket is compared across components, in blocks of bounded size, by min-max sketches of 1024
+   bytes; a pair goes on unless its sketch is 4.5 standard errors under the threshold. Every link, of
+   hubs or of blocks, is confirmed on full sets (64-bit shingle hashes).
 4. Components by least labels with pointer jumping on tables written to the shared folder.
 
 Defined cases: null or wordless text has no shingles and is its own component; fewer than five words are
@@ -23,13 +25,16 @@ from __future__ import annotations
 from functools import reduce
 
 import numpy as np
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import ship
 from .common import map_columns, materialize
 
 SHINGLE, BANDS, ROWS, SEED = 5, 50, 5, 20240607
+SKETCH, BLOCK = 1024, 1024  # bytes of a sketch, members of a block
 PERCENT = 75
 ROUNDS = 2  # hubs tried in each bucket before components are compared across
 _MIX = np.uint64(0x9E3779B97F4A7C15)
@@ -113,15 +118,59 @@ def signatures(docs: DataFrame, width: int = SHINGLE, bands: int = BANDS, rows:
 
 
 def shingle_sets(docs: DataFrame, width: int = SHINGLE) -> DataFrame:
+    """id, shingles, sketch: a byte of each signature value of a longer signature."""
+
     def make():
-        shingle = Shingler(width)
+        shingle, signer = Shingler(width), Signer(SKETCH, 1, SEED + 1)
 
         def step(cols):
-            yield {"id": cols["doc_id"], "shingles": [shingle(t).view(np.int64) for t in cols["text"]]}
+            sets = [shingle(t) for t in cols["text"]]
+            values = [signer.values(s) for s in sets]
+            yield {
+                "id": cols["doc_id"],
+                "shingles": [s.view(np.int64) for s in sets],
+                "sketch": [(v ^ (v >> np.uint32(16))).astype(np.uint8).tobytes() for v in values],
+            }
 
         return step
 
-    return map_columns(docs, ["doc_id", "text"], "id long, shingles array<long>", make)
+    return map_columns(docs.where("text is not null"), ["doc_id", "text"], "id long, shingles array<long>, sketch binary", make)
+
+
+def across(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) of one bucket and of different labels that may be similar; members: key, id, n, label.
+
+    A bucket of more than BLOCK members is dealt to blocks and each pair of blocks is one group.
+    """
+    size = members.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
+    own = F.pmod(F.xxhash64("id", F.lit("block")), F.col("blocks")).cast("int")
+    dealt = members.join(size, "key").join(sets.select("id", "sketch"), "id").withColumn("own", own)
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select(
+        "key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "id", "n", "label", "sketch"
+    )
+    j = percent / 100
+    steps = [(k, int(k * max(0.0, j - 4.5 * (j * (1 - j) / k) ** 0.5))) for k in (128, SKETCH)]
+
+    def compare(key: tuple, group: pa.Table) -> pa.Table:
+        i, last = key[1].as_py(), key[2].as_py()
+        ids, n, label, own = (group[c].to_numpy() for c in ("id", "n", "label", "own"))
+        sketch = np.frombuffer(b"".join(group["sketch"].to_pylist()), np.uint8).reshape(len(ids), SKETCH)
+        first, a, b = sketch[:, : steps[0][0]].copy(), [], []
+        for x in range(len(ids)):
+            rest = slice(x + 1, None)
+            fits = (label[rest] != label[x]) & (100 * np.minimum(n[rest], n[x]) >= percent * np.maximum(n[rest], n[x]))
+            if i != last:
+                fits &= own[rest] != own[x]
+            y = np.flatnonzero(fits) + x + 1
+            for part, (_, least) in zip((first, sketch), steps):
+                y = y[np.count_nonzero(part[y] == part[x], 1) >= least]
+            a += [ids[x]] * len(y)
+            b += ids[y].tolist()
+        a, b = np.array(a, np.int64), np.array(b, np.int64)
+        return pa.table({"a": np.minimum(a, b), "b": np.maximum(a, b)})
+
+    ship(members.sparkSession)
+    return dealt.groupBy("key", "i", "j").applyInArrow(compare, "a long, b long").distinct()
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -192,14 +241,7 @@ def link(docs: DataFrame, width: int = SHINGLE, bands: int = BANDS, rows: int =
                 .distinct()
             )
         else:
-            left = materialize(now.join(mixed.select("key"), "key", "left_semi"))
-            x, y = left.alias("x"), left.alias("y")
-            pairs = (
-                x.join(y, F.col("x.key") == F.col("y.key"))
-                .where((F.col("x.id") < F.col("y.id")) & (F.col("x.label") != F.col("y.label")) & fits(F.col("x.n"), F.col("y.n")))
-                .select(F.col("x.id").alias("a"), F.col("y.id").alias("b"))
-                .distinct()
-            )
+            pairs = across(now.join(mixed.select("key"), "key", "left_semi"), sets, percent)
     label = materialize(label.where("id <> label"))
     own = (
         sign.select("doc_id", "n_shingles", "h1", "h2")
