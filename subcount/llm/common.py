@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 import zlib
 from collections.abc import Callable, Iterator
 
@@ -14,33 +12,13 @@ from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
 from ..session import ship
+from ..storage import materialize  # noqa: F401
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def checkpoint_dir(spark: SparkSession) -> str:
-    """The shared folder the cluster names; a temporary one only where none is set (tests)."""
-    named = spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if named is None:
-        named = getattr(checkpoint_dir, "own", None)
-        if named is None:
-            named = checkpoint_dir.own = tempfile.mkdtemp(prefix="subcount-")
-    return named.rstrip("/")
-
-
-def materialize(df: DataFrame) -> DataFrame:
-    """Write df once to the shared folder and read it back: cuts lineage, survives lost executors."""
-    spark = df.sparkSession
-    path = f"{checkpoint_dir(spark)}/stage-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    jvm = spark.sparkContext._jvm
-    at = jvm.org.apache.hadoop.fs.Path(path)
-    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(at)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def map_columns(
     df: DataFrame,
     columns: list[str],
@@ -90,5 +68,11 @@ def remainder_col(col: str, n: int):
 
 
 def sample_rows(df: DataFrame, key: str, bound: int) -> list:
-    """At most `bound` rows, those with the smallest hash of the key: the same rows on every run."""
-    return df.orderBy(F.xxhash64(F.col(key).cast("string")), F.col(key)).limit(bound).collect()
+    """At most `bound` rows, those with the smallest hash of the key: the same rows on every run.
+
+    Keys are chosen first, so tasks send the driver keys only and then the rows of the chosen ones.
+    """
+    keys = df.select(key).where(F.col(key).isNotNull()).orderBy(F.xxhash64(F.col(key).cast("string")), F.col(key)).limit(bound)
+    chosen = df.sparkSession.createDataFrame(keys.collect(), keys.schema).distinct()
+    rows = df.join(F.broadcast(chosen), key, "left_semi").limit(bound).collect()
+    return sorted(rows, key=lambda r: r[key])
