@@ -117,11 +117,11 @@ def signatures(docs: DataFrame, width: int = SHINGLE, bands: int = BANDS, rows:
     return map_columns(docs, ["doc_id", "text"], SIGNATURES, make)
 
 
-def shingle_sets(docs: DataFrame, width: int = SHINGLE) -> DataFrame:
-    """id, shingles, sketch: a byte of each signature value of a longer signature."""
+def shingle_sets(docs: DataFrame, width: int = SHINGLE, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
+    """id, shingles, band keys, sketch: a byte of each signature value of a longer signature."""
 
     def make():
-        shingle, signer = Shingler(width), Signer(SKETCH, 1, SEED + 1)
+        shingle, sign, signer = Shingler(width), Signer(bands, rows), Signer(SKETCH, 1, SEED + 1)
 
         def step(cols):
             sets = [shingle(t) for t in cols["text"]]
@@ -129,32 +129,35 @@ def shingle_sets(docs: DataFrame, width: int = SHINGLE) -> DataFrame:
             yield {
                 "id": cols["doc_id"],
                 "shingles": [s.view(np.int64) for s in sets],
+                "bands": [sign(s) for s in sets],
                 "sketch": [(v ^ (v >> np.uint32(16))).astype(np.uint8).tobytes() for v in values],
             }
 
         return step
 
-    return map_columns(docs.where("text is not null"), ["doc_id", "text"], "id long, shingles array<long>, sketch binary", make)
+    return map_columns(docs.where("text is not null"), ["doc_id", "text"], "id long, shingles array<long>, bands array<long>, sketch binary", make)
 
 
 def across(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Pairs (a, b) of one bucket and of different labels that may be similar; members: key, id, n, label.
 
-    A bucket of more than BLOCK members is dealt to blocks and each pair of blocks is one group.
+    A bucket of more than BLOCK members is dealt to blocks and each pair of blocks is one group. A pair
+    that shares several buckets is made in the bucket of its first common band only, so no row repeats.
     """
     size = members.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
     own = F.pmod(F.xxhash64("id", F.lit("block")), F.col("blocks")).cast("int")
-    dealt = members.join(size, "key").join(sets.select("id", "sketch"), "id").withColumn("own", own)
+    dealt = members.join(size, "key").join(sets.select("id", "bands", "sketch"), "id").withColumn("own", own)
     dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select(
-        "key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "id", "n", "label", "sketch"
+        "key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "id", "n", "label", "bands", "sketch"
     )
     j = percent / 100
     steps = [(k, int(k * max(0.0, j - 4.5 * (j * (1 - j) / k) ** 0.5))) for k in (128, SKETCH)]
 
     def compare(key: tuple, group: pa.Table) -> pa.Table:
-        i, last = key[1].as_py(), key[2].as_py()
+        bucket, i, last = (k.as_py() for k in key)
         ids, n, label, own = (group[c].to_numpy() for c in ("id", "n", "label", "own"))
         sketch = np.frombuffer(b"".join(group["sketch"].to_pylist()), np.uint8).reshape(len(ids), SKETCH)
+        bands = np.array(group["bands"].to_pylist(), np.int64)
         first, a, b = sketch[:, : steps[0][0]].copy(), [], []
         for x in range(len(ids)):
             rest = slice(x + 1, None)
@@ -164,13 +167,14 @@ def across(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
             y = np.flatnonzero(fits) + x + 1
             for part, (_, least) in zip((first, sketch), steps):
                 y = y[np.count_nonzero(part[y] == part[x], 1) >= least]
+            y = y[bands[x, np.argmax(bands[y] == bands[x], 1)] == bucket]
             a += [ids[x]] * len(y)
             b += ids[y].tolist()
         a, b = np.array(a, np.int64), np.array(b, np.int64)
         return pa.table({"a": np.minimum(a, b), "b": np.maximum(a, b)})
 
     ship(members.sparkSession)
-    return dealt.groupBy("key", "i", "j").applyInArrow(compare, "a long, b long").distinct()
+    return dealt.groupBy("key", "i", "j").applyInArrow(compare, "a long, b long")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -214,7 +218,7 @@ def link(docs: DataFrame, width: int = SHINGLE, bands: int = BANDS, rows: int =
     shared = spread.groupBy("key").agg(F.min("id").alias("hub"), F.max("id").alias("last")).where("hub <> last")
     members = materialize(spread.join(shared.select("key", "hub"), "key"))
     ids = members.select(F.col("id").alias("doc_id")).distinct()
-    sets = materialize(shingle_sets(docs.join(ids, "doc_id", "left_semi"), width).dropDuplicates(["id"]))
+    sets = materialize(shingle_sets(docs.join(ids, "doc_id", "left_semi"), width, bands, rows).dropDuplicates(["id"]))
     fits = lambda x, y: 100 * F.least(x, y) >= percent * F.greatest(x, y)  # noqa: E731  else sizes alone rule the pair out
 
     # Hub rounds: each member against its bucket's hub.

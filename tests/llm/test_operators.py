@@ -197,6 +197,24 @@ def test_near_duplicates_match_brute_force(spark):
     assert got == dict(enumerate(label))
 
 
+def test_blocks_make_each_pair_once(spark, monkeypatch):
+    monkeypatch.setattr(minmax, "BLOCK", 4)
+    rng = random.Random(5)
+    words = [f"w{i}" for i in range(60)]
+    rows = [(i, " ".join(w if rng.random() > 0.012 else rng.choice(words) for w in words)) for i in range(40)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    sets = minmax.materialize(minmax.shingle_sets(docs))
+    sign = {r["doc_id"]: r["bands"] for r in minmax.signatures(docs).collect()}
+    members = spark.createDataFrame([(k, i, 56, i) for i, keys in sign.items() for k in keys], "key long, id long, n long, label long")
+    got = [(r["a"], r["b"]) for r in minmax.across(members, sets, 75).collect()]
+    assert len(got) == len(set(got))
+    shingle = minmax.Shingler()
+    full = {i: set(shingle(t).tolist()) for i, t in rows}
+    close = {(a, b) for a in full for b in full if a < b and 100 * len(full[a] & full[b]) >= 75 * len(full[a] | full[b])}
+    met = {(a, b) for a, b in close if any(x == y for x, y in zip(sign[a], sign[b]))}
+    assert met and met <= set(got)
+
+
 def test_top_k(spark):
     r = np.random.default_rng(1)
     v = r.normal(size=(300, 20)).round(2)
