@@ -10,9 +10,10 @@ Steps, none of which emits all pairs of a group:
 2. Documents of equal sets form a class; only its smallest id goes on.
 3. In each band bucket members are compared to one hub, then, in buckets that still hold several
    components, to another hub. Members of one component need no link between them, so only what is left
-   in a bucket is compared across components, in blocks of bounded size, by min-max sketches of 1024
-   bytes; a pair goes on unless its sketch is 4.5 standard errors under the threshold. Every link, of
-   hubs or of blocks, is confirmed on full sets (64-bit shingle hashes).
+   in a bucket is compared across components, in blocks of bounded size: min-max sketches of 1024 bytes
+   rule out a pair that is 4.5 standard errors under the threshold, and a block gives only the links its
+   members need to be joined. Every link, of hubs or of blocks, is confirmed on full sets (64-bit
+   shingle hashes).
 4. Components by least labels with pointer jumping on tables written to the shared folder.
 
 Defined cases: null or wordless text has no shingles and is its own component; fewer than five words are
@@ -26,6 +27,7 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -34,7 +36,7 @@ from ..session import ship
 from .common import map_columns, materialize
 
 SHINGLE, BANDS, ROWS, SEED = 5, 50, 5, 20240607
-SKETCH, BLOCK = 1024, 1024  # bytes of a sketch, members of a block
+SKETCH, BLOCK, BLOCK_BYTES = 1024, 1024, 1 << 24  # bytes of a sketch; members and bytes of shingles of a block
 PERCENT = 75
 ROUNDS = 2  # hubs tried in each bucket before components are compared across
 _MIX = np.uint64(0x9E3779B97F4A7C15)
@@ -139,25 +141,30 @@ def shingle_sets(docs: DataFrame, width: int = SHINGLE, bands: int = BANDS, rows
 
 
 def across(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) of one bucket and of different labels that may be similar; members: key, id, n, label.
+    """Links (a, b) that join different labels within a bucket; members: key, id, n, label.
 
-    A bucket of more than BLOCK members is dealt to blocks and each pair of blocks is one group. A pair
-    that shares several buckets is made in the bucket of its first common band only, so no row repeats.
+    A bucket of more than BLOCK members, or BLOCK_BYTES of shingles, is dealt to blocks and each pair of
+    blocks is one group. A pair that shares several buckets is made in the bucket of its first common band
+    only. Sketches rule pairs out, full sets in the group decide the rest, and a link whose ends the group
+    has joined before is left out: a group gives fewer rows than it has members, however many pairs it holds.
     """
-    size = members.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
+    size = members.groupBy("key").agg(F.greatest(F.ceil(F.count("*") / BLOCK), F.ceil(F.sum("n") * 8 / BLOCK_BYTES)).cast("int").alias("blocks"))
     own = F.pmod(F.xxhash64("id", F.lit("block")), F.col("blocks")).cast("int")
-    dealt = members.join(size, "key").join(sets.select("id", "bands", "sketch"), "id").withColumn("own", own)
+    dealt = members.join(size, "key").join(sets, "id").withColumn("own", own)
     dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select(
-        "key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "id", "n", "label", "bands", "sketch"
+        "key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "id", "label", "bands", "sketch", "shingles"
     )
     j = percent / 100
     steps = [(k, int(k * max(0.0, j - 4.5 * (j * (1 - j) / k) ** 0.5))) for k in (128, SKETCH)]
 
     def compare(key: tuple, group: pa.Table) -> pa.Table:
         bucket, i, last = (k.as_py() for k in key)
-        ids, n, label, own = (group[c].to_numpy() for c in ("id", "n", "label", "own"))
+        ids, label, own = (group[c].to_numpy().copy() for c in ("id", "label", "own"))
+        n = pc.list_value_length(group["shingles"]).to_numpy().astype(np.int64)
         sketch = np.frombuffer(b"".join(group["sketch"].to_pylist()), np.uint8).reshape(len(ids), SKETCH)
-        bands = np.array(group["bands"].to_pylist(), np.int64)
+        bands = pc.list_flatten(group["bands"]).to_numpy().reshape(len(ids), -1)
+        flat = pc.list_flatten(group["shingles"]).to_numpy().view(np.uint64)
+        start = np.concatenate([[0], np.cumsum(n)])
         first, a, b = sketch[:, : steps[0][0]].copy(), [], []
         for x in range(len(ids)):
             rest = slice(x + 1, None)
@@ -168,8 +175,17 @@ def across(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
             for part, (_, least) in zip((first, sketch), steps):
                 y = y[np.count_nonzero(part[y] == part[x], 1) >= least]
             y = y[bands[x, np.argmax(bands[y] == bands[x], 1)] == bucket]
-            a += [ids[x]] * len(y)
-            b += ids[y].tolist()
+            if not len(y):
+                continue
+            mine = flat[start[x] : start[x + 1]]
+            theirs = np.concatenate([flat[start[v] : start[v + 1]] for v in y])
+            hit = mine[np.minimum(np.searchsorted(mine, theirs), len(mine) - 1)] == theirs
+            both = np.add.reduceat(hit, np.cumsum(n[y]) - n[y], dtype=np.int64)
+            for v in y[100 * both >= percent * (n[x] + n[y] - both)]:
+                if label[v] != label[x]:
+                    label[label == label[v]] = label[x]
+                    a.append(ids[x])
+                    b.append(ids[v])
         a, b = np.array(a, np.int64), np.array(b, np.int64)
         return pa.table({"a": np.minimum(a, b), "b": np.maximum(a, b)})
 
@@ -224,9 +240,9 @@ def link(docs: DataFrame, width: int = SHINGLE, bands: int = BANDS, rows: int =
     # Hub rounds: each member against its bucket's hub.
     label = members.select("id").distinct().withColumn("label", F.col("id"))
     known: list[DataFrame] = []
-    pairs = members.select(F.col("hub").alias("a"), F.col("id").alias("b")).where("a <> b").distinct()
+    links = confirmed(members.select(F.col("hub").alias("a"), F.col("id").alias("b")).where("a <> b").distinct(), sets, percent)
     for turn in range(rounds + 1):
-        known.append(materialize(confirmed(pairs, sets, percent)))
+        known.append(materialize(links))
         joined = components(reduce(DataFrame.union, known))
         label = members.select("id").distinct().join(joined, "id", "left").select("id", F.coalesce("label", "id").alias("label"))
         if turn == rounds:
@@ -244,8 +260,9 @@ def link(docs: DataFrame, width: int = SHINGLE, bands: int = BANDS, rows: int =
                 .select(F.least("id", "hub.id").alias("a"), F.greatest("id", "hub.id").alias("b"))
                 .distinct()
             )
+            links = confirmed(pairs, sets, percent)
         else:
-            pairs = across(now.join(mixed.select("key"), "key", "left_semi"), sets, percent)
+            links = across(now.join(mixed.select("key"), "key", "left_semi"), sets, percent)
     label = materialize(label.where("id <> label"))
     own = (
         sign.select("doc_id", "n_shingles", "h1", "h2")
