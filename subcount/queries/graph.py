@@ -129,14 +129,15 @@ add("pat_disconnected_corun", on("corun", patterns.disconnected), sql.on("corun"
 add("pat_catalogue", lambda spark, d: patterns.catalogue(spark))
 
 EXPLICIT = dict(mode="explicit", p=0.1, machines=20, k=6)
+# the numbers in the SQL of approx_sent, which reads p, machines, k and the seed only
 _P = approx.Plan(2000, 115729, 1200, 0.1, 20, 6, 0.5, "explicit", 1, "explicit")
+_plan = lambda e: approx.for_graph(e, **EXPLICIT)
 _rounded = lambda df: df.withColumn("estimate", F.round("estimate", 6))
-_EST = "SELECT rep, sampled, kept, overflowed, hits, round(estimate, 6) AS estimate FROM r"
 _int = lambda df: df.select("rep", *[F.col(c).cast("long").alias(c) for c in ("sampled", "kept", "overflowed", "hits")], "estimate")
-add("approx_once_copurchase", on("copurchase", lambda e: _int(_rounded(approx.estimate_once(e, _P)))), sql.on("copurchase", *sql.sampled("copurchase", _P), select=_EST))
-add("approx_overflow_copurchase", on("copurchase", lambda e: _int(_rounded(approx.estimates(e, _P, 4)))), sql.on("copurchase", *sql.sampled("copurchase", _P, 4), select=_EST))
-add("approx_median_copurchase", on("copurchase", lambda e: approx.estimate_median(e, _P, 4).select(F.round("estimate", 6).alias("estimate"))), sql.on("copurchase", *sql.sampled("copurchase", _P, 4), select="SELECT round(list_sort(list(estimate))[2], 6) AS estimate FROM r WHERE estimate IS NOT NULL"))
-add("approx_mom_copurchase", on("copurchase", lambda e: approx.estimate_mom(e, _P, 3, 2).select(F.round("estimate", 6).alias("estimate"))), sql.on("copurchase", *sql.sampled("copurchase", _P, 6), select="SELECT round(list_sort(list(m))[2], 6) AS estimate FROM (SELECT avg(estimate) AS m FROM r GROUP BY rep % 3)"))
+add("approx_once_copurchase", on("copurchase", lambda e: _int(_rounded(approx.estimate_once(e, _plan(e))))))
+add("approx_overflow_copurchase", on("copurchase", lambda e: _int(_rounded(approx.estimates(e, _plan(e), 4)))))
+add("approx_median_copurchase", on("copurchase", lambda e: approx.estimate_median(e, _plan(e), 4).select(F.round("estimate", 6).alias("estimate"))))
+add("approx_mom_copurchase", on("copurchase", lambda e: approx.estimate_mom(e, _plan(e), 3, 2).select(F.round("estimate", 6).alias("estimate"))))
 _SENT = "SELECT CAST(rep AS INTEGER) AS rep, i, src, dst FROM s"
 _T = approx.Plan(25, 300, 1000, 0.3, 12, 6, 0.5, "explicit", 2, "explicit")
 for how in ("lists", "inline", "pairs"):
@@ -147,9 +148,16 @@ for name in ("wedge", "cycle4", "k4"):
     add(f"approx_pattern_{name}_trade", on("trade", partial(lambda e, name: _rounded(approx.estimate_pattern(e, name, _T)), name=name)))
 for mode in ("theory", "experiment", "linear"):
     add(f"approx_plan_{mode}_tripartite", on("tripartite", partial(lambda e, mode: approx.plan_row(e.sparkSession, approx.for_graph(e, mode=mode)), mode=mode)))
-add("approx_load_copurchase", on("copurchase", lambda e: measures.load(approx.load_profile(e, _P))))
-add("approx_sent_copurchase", on("copurchase", lambda e: approx.copies_per_edge(e, _P)), sql.on("copurchase", *sql.sampled("copurchase", _P), select="SELECT copies, count(*) AS edges FROM (SELECT e.src, e.dst, count(s.i) AS copies FROM e LEFT JOIN s ON s.src = e.src AND s.dst = e.dst GROUP BY ALL) GROUP BY copies"))
-add("msr_sent_copurchase", on("copurchase", lambda e: measures.sent(approx.copies_per_edge(e, _P), _P)))
+add("approx_load_copurchase", on("copurchase", lambda e: measures.load(approx.load_profile(e, _plan(e)))))
+add("approx_sent_copurchase", on("copurchase", lambda e: approx.copies_per_edge(e, _plan(e))), sql.on("copurchase", *sql.sampled("copurchase", _P), select="SELECT copies, count(*) AS edges FROM (SELECT e.src, e.dst, count(s.i) AS copies FROM e LEFT JOIN s ON s.src = e.src AND s.dst = e.dst GROUP BY ALL) GROUP BY copies"))
+
+
+def _sent(e):
+    p = _plan(e)
+    return measures.sent(approx.copies_per_edge(e, p), p)
+
+
+add("msr_sent_copurchase", on("copurchase", _sent))
 
 for name, f in (("brute", baselines.brute), ("two_round", baselines.two_round), ("one_round", baselines.one_round), ("sweep", baselines.vertex_sweep), ("intersection", baselines.edge_intersection)):
     add(f"base_{name}_copart30", on("copart30", f), sql.triangles("copart30"))
@@ -178,7 +186,7 @@ add("msr_message_bound_copart30", on("copart30", lambda e: measures.message_boun
 add("msr_total_space_copart30", on("copart30", lambda e: measures.total_space(measures.trace_of(e, BOUND5))), f"SELECT CAST(sum(messages) + 2 * max(edges) AS BIGINT) AS words, round(2 * max(edges) * ln(max(edges)), 6) AS cap FROM ({_TR})")
 add("msr_decay_copart30", on("copart30", lambda e: measures.decay(measures.trace_of(e, SCALED))))
 add("msr_model_rounds_copart30", on("copart30", lambda e: measures.model_rounds(measures.trace_of(e, BOUND5), {f"n^{s}": e.select("src").union(e.select("dst")).distinct().count() ** s for s in (0.3, 0.5, 0.9)})))
-add("msr_theory_copurchase", on("copurchase", lambda e: measures.theory_row(e.sparkSession, _P, exact.count_by_rank(e).first()[0])))
+add("msr_theory_copurchase", on("copurchase", lambda e: measures.theory_row(e.sparkSession, _plan(e), exact.count_by_rank(e).first()[0])))
 add("msr_alb_copart30", on("copart30", lambda e: measures.alb(e, 1000)), sql.on("copart30", sql.ARCS, sql.DEGREES, select="SELECT round(sqrt(sum(deg) / 2 / 1000), 6) AS root_m_over_s, round(sum(deg) / count(*), 6) AS mean_degree, CAST(sum(deg * deg) AS BIGINT) AS square_sum FROM g"))
 
 
