@@ -95,7 +95,20 @@ add(
     """SELECT user_id, count(b) AS after_purchase, CAST(sum(b) AS BIGINT) AS before_sum FROM (SELECT user_id, last_value(CASE WHEN event_type = 'purchase' THEN event_id END IGNORE NULLS)
 OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS b FROM events WHERE event_type IN ('purchase', 'view')) GROUP BY user_id""",
 )
-add("replicate_blocks", lambda spark, d: primitives.replicate(graphs.table(spark, d, "nation").select("n_nationkey"), 10, 3).groupBy("copy").agg(F.count("*").alias("n"), F.sum("n_nationkey").cast("long").alias("s")), "SELECT copy, count(*) AS n, CAST(sum(n_nationkey) AS BIGINT) AS s FROM nation, (SELECT unnest(range(10)) AS copy) GROUP BY copy")
+
+
+def _blocks(spark, d):
+    day = F.datediff(F.to_date("o_orderdate"), F.lit("1970-01-01")).alias("block")
+    return graphs.table(spark, d, "orders").groupBy(day).agg(F.collect_list("o_orderkey").alias("payload"))
+
+
+def _replicate_blocks(spark, d):
+    keys = F.aggregate("payload", F.lit(0).cast("long"), lambda a, x: a + x)
+    copies = primitives.replicate(_blocks(spark, d).withColumn("keys", keys), 10, 3)
+    return copies.groupBy("copy").agg(F.count("*").alias("n"), F.sum(F.size("payload")).cast("long").alias("orders"), F.sum("keys").cast("long").alias("s"))
+
+
+add("replicate_blocks", _replicate_blocks)
 add("shard_alloc_tripartite", on("tripartite", lambda e: model.degrees(e).select("v", F.greatest(F.lit(1), F.ceil(F.col("deg") * 4 / 1000)).cast("long").alias("machines")).groupBy("machines").agg(F.count("*").alias("vertices"))), sql.on("tripartite", sql.ARCS, sql.DEGREES, select="SELECT CAST(greatest(1, ceil(deg * 4 / 1000)) AS BIGINT) AS machines, count(*) AS vertices FROM g GROUP BY ALL"))
 add("induced_quality", lambda spark, d: model.size(graphs.quality(spark, d)), sql.on("quality", sql.ARCS, sql.DEGREES, select="SELECT (SELECT count(*) FROM g) AS n, (SELECT count(*) FROM e) AS m"))
 
@@ -201,10 +214,10 @@ add("udtf_schedule", lambda spark, d: _registered(spark, "SELECT round, gamma FR
 
 def _udtf_pairs(spark, d):
     udfs.register(spark)
-    graphs.table(spark, d, "lineitem").where("l_orderkey < 200").groupBy("l_orderkey").agg(F.collect_list("l_partkey").alias("ps")).createOrReplaceTempView("subcount_orders")
+    graphs.table(spark, d, "lineitem").groupBy("l_orderkey").agg(F.collect_list("l_partkey").alias("ps")).createOrReplaceTempView("subcount_orders")
     return spark.sql("SELECT l_orderkey, p.a, p.b FROM subcount_orders, LATERAL pairs(ps) p")
 
 
-add("udtf_pairs", _udtf_pairs, "SELECT DISTINCT x.l_orderkey, x.l_partkey AS a, y.l_partkey AS b FROM lineitem x JOIN lineitem y ON x.l_orderkey = y.l_orderkey AND x.l_partkey < y.l_partkey WHERE x.l_orderkey < 200")
+add("udtf_pairs", _udtf_pairs)
 _K61 = hashing.coefficients(3, 7, 0, hashing.P61)
 add("udf_kwise_arrow", lambda spark, d: graphs.table(spark, d, "nation").select("n_nationkey", udfs.kwise61(_K61)(F.col("n_nationkey").cast("long")).alias("h"), hashing.kwise(F.col("n_nationkey").cast("long"), _K61, hashing.P61).alias("h_decimal")), f"SELECT n_nationkey, h, h AS h_decimal FROM (SELECT n_nationkey, CAST((((CAST({_K61[0]} AS HUGEINT) * n_nationkey + {_K61[1]}) % {hashing.P61}) * n_nationkey + {_K61[2]}) % {hashing.P61} AS BIGINT) AS h FROM nation)")

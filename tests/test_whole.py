@@ -8,10 +8,13 @@ from math import comb
 import pytest
 
 import __spark_entry__
-from subcount import model
+from subcount import graphs, model
 from subcount.operators import approx, hashing
 
 
+SF = "/root/testdata/sf0.001"
+
+
 @pytest.fixture(scope="module")
 def queries():
     return __spark_entry__.queries()
@@ -52,3 +55,19 @@ def test_copurchase_estimates_on_a_larger_graph(spark, queries, tmp_path):
     assert load["overflowed"] == rows[0]["overflowed"]
     sent = queries["msr_sent_copurchase"](spark, str(tmp_path)).first()
     assert sent["over_fair_share"] == pytest.approx(sent["mean"] / (p.space * 20 / p.m), abs=1e-5)
+
+
+def test_udtf_pairs_of_all_orders(spark, queries):
+    orders = {}
+    for k, p in graphs.table(spark, SF, "lineitem").select("l_orderkey", "l_partkey").collect():
+        orders.setdefault(k, set()).add(p)
+    want = sorted((k, *pair) for k, ps in orders.items() for pair in combinations(sorted(ps), 2))
+    assert sorted(map(tuple, queries["udtf_pairs"](spark, SF).collect())) == want and want[-1][0] > 200
+
+
+def test_replicate_blocks_of_all_days(spark, queries):
+    days = {}
+    for key, at in graphs.table(spark, SF, "orders").select("o_orderkey", "o_orderdate").collect():
+        days.setdefault(at.date(), []).append(key)
+    keys = [k for ks in days.values() for k in ks]
+    assert sorted(map(tuple, queries["replicate_blocks"](spark, SF).collect())) == [(c, len(days), len(keys), sum(keys)) for c in range(10)]
