@@ -54,27 +54,30 @@ def count_lifted(edges: DataFrame, k: int, gamma: peel.Schedule | None = None) -
     return seen.select(F.expr(f"seen div {comb(k, k - 2)}").alias("cliques"))
 
 
-def count_local(edges: DataFrame, k: int, delta: float = 0.5, c: float = 4.0, alpha: float = 2.0, max_rounds: int = 200) -> DataFrame:
+def count_local(edges: DataFrame, k: int, delta: float = 0.5, c: float = 4.0, alpha: float = 2.0, patience: int = 20) -> DataFrame:
     """Every vertex of degree at most min(c n^(delta/2), threshold) takes its neighbours and looks for
     (k-1)-cliques among them; a clique with t peeled members is found t times in its round and counts 1/t.
-    Lists are bounded by the cap, so one group is one small neighbourhood."""
+    Lists are bounded by the cap, so one group is one small neighbourhood. The loop ends when no vertex is
+    left: after every `patience` rounds at the cap it doubles, so slow peeling takes logarithmically many caps."""
     n = arcs(edges).agg(F.count_distinct("src")).first()[0]
     cap, grow = max(2.0, c * n ** (delta / 2)), peel.schedule("scaled", alpha=alpha)
     # while the cap binds, survivors are peeled at the cap again; once nothing goes, the cap doubles
-    state = {"cap": cap}
-    now, parts, i = materialize(arcs(edges)), [], 0
+    now, parts, i, at_cap = materialize(arcs(edges)), [], 0, 0
     spark = edges.sparkSession
-    while i < max_rounds:
-        bound = min(state["cap"], grow(i))
+    while True:
+        if at_cap == patience:
+            cap, at_cap = 2 * cap, 0
+        bound = min(cap, grow(i))
         deg = materialize(now.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("deg")).withColumn("low", F.col("deg") <= bound))
         left, peeled = deg.agg(F.count("*"), F.count_if("low")).first()
         if not left:
             break
         if not peeled:
-            if bound >= state["cap"]:
-                state["cap"] *= 2
+            if bound >= cap:
+                cap, at_cap = 2 * cap, 0
             i += 1
             continue
+        at_cap += bound >= cap
         low = deg.where("low").select("v")
         parts.append(materialize(_local_round(now, low, k)))
         stay = deg.where("not low").select("v")

@@ -61,10 +61,11 @@ class Trace:
     left_edges: int = 0
 
 
-def rounds(edges: DataFrame, gamma: Schedule, max_rounds: int = 10_000) -> Trace:
-    """Peel until no vertex is left. Each round is two written tables and one row for the driver."""
+def rounds(edges: DataFrame, gamma: Schedule, max_rounds: int | None = None) -> Trace:
+    """Peel until no vertex is left. Each round is two written tables and one row for the driver. A trace that
+    max_rounds would cut is an error."""
     now, trace, i = materialize(arcs(edges)), Trace([]), 0
-    while i < max_rounds:
+    while True:
         g = gamma(i)
         cut = F.lit(True) if math.isinf(g) else F.col("deg") <= g
         v = materialize(now.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("deg")).withColumn("low", cut))
@@ -74,6 +75,8 @@ def rounds(edges: DataFrame, gamma: Schedule, max_rounds: int = 10_000) -> Trace
             return trace
         if not peeled and gamma(i + 1) <= g:
             return Trace(trace.rounds, True, n, m // 2)
+        if max_rounds is not None and i >= max_rounds:
+            raise RuntimeError(f"{n} vertices and {m // 2} edges are left after {max_rounds} rounds")
         trace.rounds.append(Round(i, g, now, v, n, m // 2, peeled, sent))
         if peeled == n:
             return trace
@@ -83,7 +86,6 @@ def rounds(edges: DataFrame, gamma: Schedule, max_rounds: int = 10_000) -> Trace
             now = materialize(now)
         i += 1
         # vertices whose last neighbour went have no arcs left; they leave with that neighbour's round
-    return trace
 
 
 def levels(edges: DataFrame, gamma: Schedule, traced: Trace | None = None) -> DataFrame:

@@ -9,7 +9,7 @@ import pytest
 
 import __spark_entry__
 from subcount import graphs, model
-from subcount.operators import approx, hashing
+from subcount.operators import approx, cliques, hashing, peel
 
 
 SF = "/root/testdata/sf0.001"
@@ -71,3 +71,20 @@ def test_replicate_blocks_of_all_days(spark, queries):
         days.setdefault(at.date(), []).append(key)
     keys = [k for ks in days.values() for k in ks]
     assert sorted(map(tuple, queries["replicate_blocks"](spark, SF).collect())) == [(c, len(days), len(keys), sum(keys)) for c in range(10)]
+
+
+def band(spark, n, reach):
+    return model.canonical(spark.createDataFrame([(i, j) for i in range(n) for j in range(i + 1, min(n, i + reach + 1))], "src long, dst long")).coalesce(1).cache()
+
+
+def test_local_cliques_when_the_cap_peels_few_vertices_a_round(spark):
+    """Inner degree 6 at cap 4: four vertices a round, 500 rounds at a fixed cap."""
+    n = 2000
+    assert cliques.count_local(band(spark, n, 3), 3, c=0.1).first()[0] == (n - 2) + 2 * (n - 3)
+
+
+def test_a_cut_peeling_is_an_error(spark):
+    e = band(spark, 60, 3)
+    with pytest.raises(RuntimeError):
+        peel.rounds(e, peel.schedule("constant", 4), max_rounds=3)
+    assert sum(r.peeled for r in peel.rounds(e, peel.schedule("constant", 4)).rounds) >= 57
