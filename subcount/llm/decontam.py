@@ -162,24 +162,39 @@ def contamination(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, max_words: int = MAX_WORDS) -> DataFrame:
     """The documents that are not contaminated, with all their columns; one pass per benchmark chunk.
 
-    With one chunk (any benchmark of usual size) a batch is filtered where it is read. With more, hits of
-    all chunks must be summed first, so verdicts are computed by find() and joined by id.
+    With more than one chunk the hit spans so far go along as a column of the row, and the last pass filters
+    on all of them, so each row is judged by itself whatever its id.
     """
     chunks = item_chunks(benchmark, max_words)
+    spans = "spans"
+    while spans in docs.columns:
+        spans += "_"
+    out = docs
     if len(chunks) > 1:
-        bad = contamination(docs, benchmark, window=window, max_words=max_words).where("contaminated").select("doc_id")
-        return docs.join(bad, "doc_id", "left_anti")
-    patterns = docs.sparkSession.sparkContext.broadcast(Patterns(chunks[0], window))
-
-    def make():
-        def step(batch: pa.RecordBatch) -> pa.RecordBatch:
-            keep = []
-            for text in batch.column(batch.schema.get_field_index("text")).to_pylist():
-                words = words_of(text)
-                hit = sum(e - s for s, e in patterns.value.search(words)[0])
-                keep.append(not (hit and 20 * hit >= len(words)))
-            return batch.filter(pa.array(keep, pa.bool_()))
-
-        return step
-
-    return rewrite_batches(docs, make)
+        out = docs.withColumn(spans, F.lit(None).cast("array<struct<s:long,e:long>>"))
+    for k, chunk in enumerate(chunks):
+        patterns = docs.sparkSession.sparkContext.broadcast(Patterns(chunk, window))
+
+        def make(patterns=patterns, first=k == 0, last=k == len(chunks) - 1):
+            def step(batch: pa.RecordBatch) -> pa.RecordBatch:
+                texts = batch.column(batch.schema.get_field_index("text")).to_pylist()
+                at = batch.schema.get_field_index(spans)
+                before = [None] * len(texts) if first else batch.column(at).to_pylist()
+                keep, found = [], []
+                for text, old in zip(texts, before):
+                    words = words_of(text)
+                    now = patterns.value.search(words)[0]
+                    if old:
+                        now = merged([*now, *((x["s"], x["e"]) for x in old)])
+                    hit = sum(e - s for s, e in now)
+                    keep.append(not (hit and 20 * hit >= len(words)))
+                    found.append([{"s": s, "e": e} for s, e in now])
+                if last:
+                    return batch.filter(pa.array(keep, pa.bool_()))
+                field = batch.schema.field(at)
+                return batch.set_column(at, field, pa.array(found, field.type))
+
+            return step
+
+        out = rewrite_batches(out, make)
+    return out.drop(spans) if len(chunks) > 1 else out
