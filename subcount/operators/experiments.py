@@ -13,6 +13,7 @@ from ..storage import materialize
 from . import approx, baselines, exact, hashing, measures, orient, patterns, peel
 
 ROUND_GRAPHS = {"lexical": (5, 10), "tripartite": (5, 10), "copart30": (5, 10), "sharedline": (10, 20), "copurchase": (2, 10)}
+FACTOR_GRAPHS = ("tripartite", "copurchase", "cosupply", "sharedline")
 
 
 def graph_stats(spark: SparkSession, d: str, name: str) -> DataFrame:
@@ -47,7 +48,7 @@ def stalls(spark: SparkSession, d: str, names: tuple[str, ...]) -> DataFrame:
     rows = []
     for name in names:
         e = materialize(graphs.GRAPHS[name](spark, d))
-        core = orient.degeneracy(e).first()[0]
+        core = orient.degeneracy(e).first()[0] or 0
         t = peel.rounds(e, peel.schedule("constant", core - 1))
         rows.append((name, int(core) - 1, t.stalled, t.left_vertices, t.left_edges))
     return spark.createDataFrame(rows, "graph string, bound int, stalled boolean, left_vertices long, left_edges long")
@@ -83,7 +84,7 @@ def correction(spark: SparkSession, d: str, names: tuple[str, ...]) -> DataFrame
     for name in names:
         e = graphs.GRAPHS[name](spark, d)
         c = exact.count_by_duplicates(e, peel.schedule("from_bound", 5))
-        out.append(c.select(F.lit(name).alias("graph"), "raw", "triangles", F.round(F.col("raw") / F.col("triangles"), 6).alias("ratio")))
+        out.append(c.select(F.lit(name).alias("graph"), "raw", "triangles", F.round(F.try_divide("raw", "triangles"), 6).alias("ratio")))
     return reduce(DataFrame.unionAll, out)
 
 

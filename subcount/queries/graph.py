@@ -112,7 +112,7 @@ add("replicate_blocks", _replicate_blocks)
 add("shard_alloc_tripartite", on("tripartite", lambda e: model.degrees(e).select("v", F.greatest(F.lit(1), F.ceil(F.col("deg") * 4 / 1000)).cast("long").alias("machines")).groupBy("machines").agg(F.count("*").alias("vertices"))), sql.on("tripartite", sql.ARCS, sql.DEGREES, select="SELECT CAST(greatest(1, ceil(deg * 4 / 1000)) AS BIGINT) AS machines, count(*) AS vertices FROM g GROUP BY ALL"))
 add("induced_quality", lambda spark, d: model.size(graphs.quality(spark, d)), sql.on("quality", sql.ARCS, sql.DEGREES, select="SELECT (SELECT count(*) FROM g) AS n, (SELECT count(*) FROM e) AS m"))
 
-for g, core in (("geo", 1), ("trade", 24), ("corun", 4), ("copart30", 20)):
+for g in graphs.GRAPHS:
     add(f"degeneracy_value_{g}", on(g, orient.degeneracy))
     for how in ("degree", "peel", "degeneracy"):
         if g in ("corun", "copart30"):
@@ -171,6 +171,10 @@ def _sent(e):
 
 
 add("msr_sent_copurchase", on("copurchase", _sent))
+for g in ("tripartite", "cosupply"):
+    add(f"approx_overflow_{g}", on(g, lambda e: _int(_rounded(approx.estimates(e, _plan(e), 4)))))
+    add(f"approx_load_{g}", on(g, lambda e: measures.load(approx.load_profile(e, _plan(e)))))
+    add(f"msr_sent_{g}", on(g, _sent))
 
 for name, f in (("brute", baselines.brute), ("two_round", baselines.two_round), ("one_round", baselines.one_round), ("sweep", baselines.vertex_sweep), ("intersection", baselines.edge_intersection)):
     add(f"base_{name}_copart30", on("copart30", f), sql.triangles("copart30"))
@@ -184,13 +188,16 @@ add("base_wedge_copurchase", on("copurchase", lambda e: baselines.wedge_sampling
 
 for g in experiments.ROUND_GRAPHS:
     add(f"exp_rounds_{g}", partial(lambda spark, d, g: experiments.rounds(spark, d, g), g=g))
-add("exp_factor_050", lambda spark, d: experiments.factors(spark, d, ("sharedline", "cosupply"), 0.5))
-add("exp_factor_075", lambda spark, d: experiments.factors(spark, d, ("sharedline", "lexical"), 0.75))
-add("exp_hash_ablation", lambda spark, d: experiments.hash_ablation(spark, d, "sharedline"))
+add("exp_factor_050", lambda spark, d: experiments.factors(spark, d, experiments.FACTOR_GRAPHS, 0.5))
+add("exp_factor_075", lambda spark, d: experiments.factors(spark, d, (*experiments.FACTOR_GRAPHS, "lexical"), 0.75))
+add("exp_hash_ablation", experiments.hash_ablation)
+add("exp_hash_ablation_sharedline", lambda spark, d: experiments.hash_ablation(spark, d, "sharedline"))
 add("exp_below_alb_vecsim", lambda spark, d: experiments.below_bound(spark, d))
 add("exp_patterns_corun", lambda spark, d: experiments.pattern_suite(spark, d, "corun", _NINE), " UNION ALL ".join(f"SELECT '{n}' AS pattern, copies FROM ({sql.pattern('corun', patterns.NAMED[n])})" for n in _NINE))
-add("exp_stalls", lambda spark, d: experiments.stalls(spark, d, ("lexical", "sharedline")))
-add("exp_correction", lambda spark, d: experiments.correction(spark, d, ("trade", "corun", "copart30")))
+for g in ("trade", "copart30", "custpart"):
+    add(f"exp_patterns_{g}", partial(lambda spark, d, g: experiments.pattern_suite(spark, d, g, _NINE), g=g))
+add("exp_stalls", lambda spark, d: experiments.stalls(spark, d, tuple(graphs.GRAPHS)))
+add("exp_correction", lambda spark, d: experiments.correction(spark, d, tuple(graphs.GRAPHS)))
 add("exp_choice_tripartite", on("tripartite", planner.explain_choice))
 
 _TR = sql.peel_trace("copart30", BOUND5, 7)

@@ -88,3 +88,13 @@ def test_a_cut_peeling_is_an_error(spark):
     with pytest.raises(RuntimeError):
         peel.rounds(e, peel.schedule("constant", 4), max_rounds=3)
     assert sum(r.peeled for r in peel.rounds(e, peel.schedule("constant", 4)).rounds) >= 57
+
+
+def test_workloads_run_on_all_listed_graphs(spark, queries):
+    """custpart and geo have no triangle, benchhit no edge at this size."""
+    rows = {r["graph"]: r for r in queries["exp_correction"](spark, SF).collect()}
+    assert set(rows) == set(graphs.GRAPHS) and rows["tripartite"]["triangles"] == 50463
+    assert rows["geo"]["ratio"] is None and rows["cosupply"]["ratio"] == 6
+    assert {r["graph"]: r["left_vertices"] for r in queries["exp_stalls"](spark, SF).collect()}.keys() == set(graphs.GRAPHS)
+    assert all(queries[f"exp_patterns_{g}"] and queries[f"degeneracy_value_{g}"] for g in ("trade", "copart30", "custpart"))
+    assert all(f"{q}_{g}" in queries for q in ("approx_overflow", "approx_load", "msr_sent") for g in ("tripartite", "cosupply"))
