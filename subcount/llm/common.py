@@ -58,6 +58,20 @@ def rewrite_batches(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch],
     return df.mapInArrow(run, df.schema)
 
 
+def join_heavy(rows: DataFrame, groups: DataFrame, keys: list[str], weight: str, total: int, parts: int = 1000) -> DataFrame:
+    """rows left-joined to groups, one row per key whose `weight` is the number of rows that may carry it.
+
+    At most `parts` groups weigh more than total / parts, whatever the data: those are broadcast, so no key
+    that goes through the shuffle holds more than one part of the rows.
+    """
+    more = [c for c in groups.columns if c not in (*keys, weight)]
+    is_heavy = F.col(weight) * parts > max(1, total)
+    heavy = groups.where(is_heavy).select(*keys, *more, F.lit(True).alias("heavy_"))
+    marked = rows.join(F.broadcast(heavy), keys, "left")
+    light = marked.where("heavy_ is null").select(*rows.columns).join(groups.where(~is_heavy).select(*keys, *more), keys, "left")
+    return marked.where("heavy_").select(*rows.columns, *more).unionByName(light.select(*rows.columns, *more))
+
+
 def remainder(doc_id, n: int) -> int:
     """crc32 of the id as text, modulo n: the split rule of the learned operators."""
     return zlib.crc32(str(doc_id).encode()) % n

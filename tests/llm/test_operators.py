@@ -7,6 +7,7 @@ from itertools import product
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from subcount.llm import chat, decontam, kdtree, langid, minmax, packing, secrets, topk, toxicity, urls
 
@@ -197,16 +198,23 @@ def test_near_duplicates_match_brute_force(spark):
     assert got == dict(enumerate(label))
 
 
+def members_of(spark, docs, buckets=None):
+    """All members of the buckets of docs, each its own component, as across() takes them."""
+    sign = minmax.materialize(minmax.signatures(docs))
+    rows = [(r["doc_id"], k, r["n_shingles"], bytes(r["sketch"])) for r in sign.collect() for k in (buckets or r["bands"])]
+    flat = spark.createDataFrame([(k, i, n, i, s) for i, k, n, s in rows], "key long, id long, n long, label long, sketch binary")
+    keys = flat.groupBy("id").agg(F.sort_array(F.collect_set("key")).alias("keys"))
+    return flat.join(keys, "id"), docs.select(F.col("doc_id").alias("id"), "text"), {r["doc_id"]: r["bands"] for r in sign.collect()}
+
+
 def test_blocks_give_the_links_that_join_their_members(spark, monkeypatch):
     monkeypatch.setattr(minmax, "BLOCK", 4)
     rng = random.Random(5)
     words = [f"w{i}" for i in range(60)]
     rows = [(i, " ".join(w if rng.random() > 0.012 else rng.choice(words) for w in words)) for i in range(40)]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
-    sets = minmax.materialize(minmax.shingle_sets(docs))
-    sign = {r["doc_id"]: r["bands"] for r in minmax.signatures(docs).collect()}
-    members = spark.createDataFrame([(k, i, 56, i) for i, keys in sign.items() for k in keys], "key long, id long, n long, label long")
-    got = [(r["a"], r["b"]) for r in minmax.across(members, sets, 75).collect()]
+    members, texts, sign = members_of(spark, docs)
+    got = [(r["a"], r["b"]) for r in minmax.across(members, texts, 75).collect()]
     assert len(got) == len(set(got))
     shingle = minmax.Shingler()
     full = {i: set(shingle(t).tolist()) for i, t in rows}
@@ -227,10 +235,50 @@ def test_blocks_give_the_links_that_join_their_members(spark, monkeypatch):
 def test_one_block_links_each_member_once(spark):
     text = " ".join(f"w{i}" for i in range(60))
     docs = spark.createDataFrame([(i, f"{text} end{i}") for i in range(30)], "doc_id long, text string")
-    sets = minmax.materialize(minmax.shingle_sets(docs))
-    members = spark.createDataFrame([(sets.first()["bands"][0], i, 57, i) for i in range(30)], "key long, id long, n long, label long")
-    keyed = sets.selectExpr("id", "bands[0] as key").join(members, ["key", "id"])
-    assert minmax.across(members, sets, 75).count() == max(keyed.count() - 1, 0)
+    members, texts, _ = members_of(spark, docs, [7])
+    assert minmax.across(members, texts, 75).count() == 29
+
+
+def test_near_duplicates_of_families_just_under_and_over_the_threshold(spark):
+    """Chains of texts near 0.75, long and repeated texts, repeated and null ids: components as by brute force."""
+    r = random.Random(16)
+    rows, n = [], 0
+    for _ in range(5):
+        w = [f"v{r.randint(0, 9999)}" for _ in range(60)]
+        for _ in range(30):
+            rows.append((n, " ".join(w)))
+            n += 1
+            w = list(w)
+            for _ in range(r.randint(1, 3)):
+                w[r.randrange(60)] = f"z{r.randint(0, 99999)}"
+    long = " ".join(f"q{i}" for i in range(30_000))
+    rows += [(n, long), (n + 1, long + " end"), (n + 2, rows[3][1]), (n + 2, rows[45][1]), (n + 3, None), (n + 3, rows[100][1]), (None, rows[0][1]), (None, rows[0][1]), (n + 4, "")]
+    got = minmax.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string").repartition(5)).collect()
+    assert len(got) == len(rows)
+    s = minmax.Shingler()
+    sets = [(i, set(s(t).tolist())) for i, t in rows if i is not None]
+    label = {i: i for i, _ in sets}
+    for x, (i, a) in enumerate(sets):
+        for j, b in sets[:x]:
+            if a and b and 100 * len(a & b) >= 75 * len(a | b) and label[i] != label[j]:
+                lo, hi = sorted((label[i], label[j]))
+                label = {k: lo if v == hi else v for k, v in label.items()}
+    for x in got:
+        if x["doc_id"] is None:
+            assert x["component_id"] is None and x["kept"]
+        elif x["n_shingles"]:
+            assert (x["component_id"], x["kept"]) == (label[x["doc_id"]], label[x["doc_id"]] == x["doc_id"])
+        else:
+            assert x["component_id"] == x["doc_id"] and x["kept"]
+
+
+def test_keep_one_of_repeated_and_null_ids(spark, odd):
+    kept = minmax.keep_one(odd)
+    assert kept.columns == odd.columns and sorted(r["doc_id"] for r in kept.where("doc_id is not null").collect()) == [0, 1, 2, 3, 4, 5, 7]
+    assert kept.where("doc_id is null").count() == 1
+    again = spark.createDataFrame([(1, "b c"), (1, "a b"), (1, "a b"), (2, "x"), (None, "n"), (None, "n")], "doc_id long, text string")
+    assert sorted(map(str, (tuple(r) for r in minmax.keep_one(again).collect()))) == sorted(map(str, [(1, "a b"), (2, "x"), (None, "n"), (None, "n")]))
+    assert minmax.near_duplicates(empty(spark)).count() == 0 and minmax.keep_one(empty(spark)).count() == 0
 
 
 def test_top_k(spark):
