@@ -169,11 +169,13 @@ class Trees:
 
 
 def isotonic(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Pooled adjacent violators: knots of the least-squares nondecreasing map from x to y."""
-    order = np.argsort(x, kind="stable")
+    """Pooled adjacent violators: knots of the least-squares nondecreasing map from x to y; equal x are one
+    weighted point, so the order of rows doesn't matter."""
+    at, place, weight = np.unique(x, return_inverse=True, return_counts=True)
+    mean = np.bincount(place, y, len(at)) / weight
     blocks: list[list[float]] = []  # mean, weight, least x, most x
-    for v, t in zip(x[order], y[order]):
-        blocks.append([t, 1, v, v])
+    for v, t, n in zip(at, mean, weight):
+        blocks.append([t, n, v, v])
         while len(blocks) > 1 and blocks[-2][0] >= blocks[-1][0]:
             m, w, _, hi = blocks.pop()
             a = blocks[-1]
@@ -209,13 +211,14 @@ class Model:
 
 
 def fit(docs: DataFrame, labels: DataFrame, bound: int = BOUND) -> Model:
-    """A model from at most `bound` labelled rows outside the held-out fifth; a doc_id labelled twice counts once."""
+    """A model from at most `bound` labelled rows outside the held-out fifth; a doc_id labelled twice counts once
+    (toxic if any label is), a doc_id of several rows by its least text."""
     known = labels.where("toxic is not null and doc_id is not null").where(remainder_col("doc_id", 5) != 0)
     known = known.groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     want = {r["doc_id"]: int(r["toxic"] > 0) for r in sample_rows(known, "doc_id", bound)}
     spark = docs.sparkSession
     ids = spark.createDataFrame([(i,) for i in want], "doc_id long")
-    rows = docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id", "left_semi").dropDuplicates(["doc_id"]).collect()
+    rows = docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id", "left_semi").groupBy("doc_id").agg(F.min("text").alias("text")).collect()
     return Model([(r["text"], want[r["doc_id"]]) for r in sorted(rows, key=lambda r: r["doc_id"])])
 
 
