@@ -5,12 +5,16 @@ products grow one block of dimensions at a time; after a block, a row can still
 sum plus the product of the norms of what remains. Pairs whose bound is under the query's fifth best score
 so far are dropped, and once few are left the survivors are compacted to lists and only they go on.
 
-Queries are sent in blocks of at most `block` vectors, a stated size, and each block makes one pass over
-the rows; a task keeps k rows per query of the block, whatever the number of rows it reads.
+Queries are sent in blocks of about `block` vectors, a stated size, and each block makes one pass over
+the rows; a task keeps k rows per query of the block, whatever the number of rows it reads. With several blocks
+each is collected, sent, searched and its result written before the next, so the driver and the tasks hold one.
 
 Defined cases: vectors that are null, empty or hold null or non-finite values take no part; rows of
-another length than the query's are not compared; ties take the smaller vec_id, repeated rows count each;
-a query's own vec_id is no candidate; fewer than k candidates are all returned; null ids take no part.
+another length than the query's are not compared; ties take the smaller vec_id; candidate rows that repeat a
+vec_id count each; rows of the query's own vec_id are no candidates; query rows that repeat an id and a vector are
+one query, those of one id and different vectors are queries of their own with k rows each; fewer than k
+candidates are all returned; null ids take no part; without queries or rows there is no result; further columns
+are ignored.
 """
 
 from __future__ import annotations
@@ -19,11 +23,11 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import map_columns
+from .common import map_columns, materialize
 
 K, BLOCK, STRIDE, SCALE = 5, 50_000, 16, 256
 ROWS_AT_ONCE = 4096
-SCHEMA = "query_id long, vec_id long, score long"
+SCHEMA = "query long, query_id long, vec_id long, score long"
 
 
 def quantized(vectors: list, dims: int | None = None) -> tuple[np.ndarray, np.ndarray]:
@@ -108,35 +112,42 @@ class Search:
             if len(top) == self.k:
                 self.floor[at] = w[top[-1]]
 
-    def rows(self) -> dict[str, list]:
-        out: dict[str, list] = {"query_id": [], "vec_id": [], "score": []}
-        for q, (v, w) in zip(self.ids, self.best):
+    def rows(self, first: int) -> dict[str, list]:
+        """The best rows; queries are numbered from first."""
+        out: dict[str, list] = {"query": [], "query_id": [], "vec_id": [], "score": []}
+        for number, (q, (v, w)) in enumerate(zip(self.ids, self.best), first):
+            out["query"] += [number] * len(v)
             out["query_id"] += [int(q)] * len(v)
             out["vec_id"] += v.tolist()
             out["score"] += [int(s) for s in w]
         return out
 
 
+def distinct(ids: list, vectors: list, dims: int) -> tuple[np.ndarray, np.ndarray]:
+    """Ids and whole-number vectors of the queries of one length, each pair once, in their order."""
+    keep, x = quantized(vectors, dims)
+    ids = np.array(ids, np.int64)[keep] if len(keep) else np.empty(0, np.int64)
+    seen = dict.fromkeys((int(i), v.tobytes()) for i, v in zip(ids, x))
+    order = sorted(seen)
+    return np.array([i for i, _ in order], np.int64), np.array([np.frombuffer(v) for _, v in order]).reshape(len(order), dims)
+
+
 def search(vectors: DataFrame, queries: DataFrame, k: int = K, block: int = BLOCK, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
-    """query_id, rank, vec_id, score for each query row; queries has the same columns as vectors."""
+    """query_id, rank, vec_id, score for each query; queries has the same columns as vectors."""
     spark = vectors.sparkSession
-    take = [F.col(id_col).alias("id"), F.col(vector_col).alias("v")]
+    take = [F.col(id_col).cast("long").alias("id"), F.col(vector_col).alias("v")]
+    given = vectors.select(*take).where("id is not null and v is not null")
     asked = queries.select(*take).where("id is not null and v is not null")
-    count = asked.count()
-    parts = max(1, -(-count // block))
+    parts = max(1, -(-asked.count() // block))
     found = None
     for part in range(parts):
         some = asked if parts == 1 else asked.where(F.pmod(F.xxhash64("id"), F.lit(parts)) == part)
-        rows = some.select("id", "v").toArrow().to_pydict()
-        by_dims: dict[int, tuple] = {}
-        for dims in {len(v) for v in rows["v"] if v}:
-            keep, x = quantized(rows["v"], dims)
-            if len(keep):
-                by_dims[dims] = np.array(rows["id"], np.int64)[keep], x
+        rows = some.toArrow().to_pydict()
+        by_dims = {d: distinct(rows["id"], rows["v"], d) for d in sorted({len(v) for v in rows["v"] if v})}
         shared = spark.sparkContext.broadcast(by_dims)
 
-        def make(shared=shared):
-            searches = {d: Search(ids, x, k) for d, (ids, x) in shared.value.items()}
+        def make(shared=shared, part=part):
+            searches = {d: Search(ids, x, k) for d, (ids, x) in shared.value.items() if len(ids)}
 
             class Step:
                 def __call__(self, cols):
@@ -149,12 +160,22 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = K, block: int = BLOC
                     return iter(())
 
                 def finish(self):
+                    first = part << 32
                     for one in searches.values():
-                        yield one.rows()
+                        yield one.rows(first)
+                        first += len(one.ids)
 
             return Step()
 
-        here = map_columns(vectors.select(*take).where("id is not null and v is not null"), ["id", "v"], SCHEMA, make)
-        found = here if found is None else found.union(here)
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-    return found.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+        here = map_columns(given, ["id", "v"], SCHEMA, make)
+        if parts > 1:
+            here = materialize(best(here, k))
+            shared.destroy()
+        found = here if found is None else found.unionByName(here)
+    return best(found, k).select("query_id", "rank", "vec_id", "score")
+
+
+def best(found: DataFrame, k: int) -> DataFrame:
+    """The k best rows of each query number, ranked."""
+    rank = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("score"), "vec_id"))
+    return found.withColumn("rank", rank).where(F.col("rank") <= k)
