@@ -6,7 +6,9 @@ capture is checked against every pattern it could match, by equality on the patt
 interval; intervals of one pattern and list never overlap, so there is one match at most for each.
 
 The verdict depends only on (host, first path part, day), so captures are reduced to distinct triples
-before anything is shuffled on a host: a hot host counts once a day and path part. DataFrame functions only.
+before anything is shuffled on a host: a hot host counts once a day and path part. Every host asks for its top-level
+domain, so a pattern that more than a thousandth of the questions ask for (there are a thousand at most) is salted:
+its questions are dealt to SALTS parts and its intervals copied to each. DataFrame functions only.
 
 Defined cases: null or unparsable urls match nothing; of events of one pattern and day `remove` holds;
 repeated events and captures change nothing and captures keep their number; without entries nothing is
@@ -21,6 +23,7 @@ from pyspark.sql import functions as F
 FOREVER = 1 << 40
 _URL = r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/:?#]+)(?::[0-9]*)?(?:/([^/?#]*))?"
 RESULTS = ("host", "part", "n_matches", "matched", "blocked")
+HOT, SALTS = 1000, 64  # a hot pattern takes more than 1 / HOT of the questions
 
 
 def intervals(events: DataFrame) -> DataFrame:
@@ -33,7 +36,8 @@ def intervals(events: DataFrame) -> DataFrame:
 def located(captures: DataFrame, url: str = "url") -> DataFrame:
     host = F.nullif(F.lower(F.regexp_extract(F.col(url), _URL, 1)), F.lit(""))
     part = F.nullif(F.regexp_extract(F.col(url), _URL, 2), F.lit(""))
-    return captures.drop(*RESULTS).withColumn("host", host).withColumn("part", part)
+    kept = [F.col(f"`{c}`") for c in captures.columns if c not in RESULTS]
+    return captures.select(*kept, host.alias("host"), part.alias("part"))
 
 
 def judge(captures: DataFrame, events: DataFrame, url: str = "url", day: str = "fetch_day") -> DataFrame:
@@ -44,17 +48,24 @@ def judge(captures: DataFrame, events: DataFrame, url: str = "url", day: str = "
     levels = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), "."))
     keys = F.array_compact(F.array_append(levels, F.concat("host", F.lit("/"), "part")))
     asked = spots.select("host", "part", "at", F.explode(F.array_distinct(keys)).alias("pattern"))
-    hits = asked.join(intervals(events), "pattern").where("at >= from_day and at < until_day")
+    weight = asked.groupBy("pattern").agg(F.count("*").alias("n"))
+    hot = weight.join(F.broadcast(weight.agg(F.sum("n").alias("all")))).where(F.col("n") * HOT > F.col("all"))
+    hot = F.broadcast(hot.select("pattern", F.lit(True).alias("hot")))
+    deal = F.pmod(F.xxhash64("host", "part", "at"), F.lit(SALTS)).cast("int")
+    asked = asked.join(hot, "pattern", "left").withColumn("salt", F.when(F.col("hot"), deal).otherwise(0))
+    copies = F.explode(F.sequence(F.lit(0), F.when(F.col("hot"), SALTS - 1).otherwise(0)))
+    held = intervals(events).join(hot, "pattern", "left").withColumn("salt", copies)
+    hits = asked.join(held, ["pattern", "salt"]).where("at >= from_day and at < until_day")
     found = hits.groupBy("host", "part", "at").agg(
         F.count("*").alias("n_matches"), F.array_join(F.array_sort(F.collect_set("pattern")), " ").alias("matched")
     )
-    found = found.select(F.col("host").alias("h"), F.col("part").alias("p"), F.col("at").alias("d"), "n_matches", "matched")
-    same = (F.col("host") == F.col("h")) & F.col("part").eqNullSafe(F.col("p")) & (F.col(day) == F.col("d"))
-    return seen.join(found, same, "left").select(
-        *[F.col(c) for c in seen.columns],
-        F.coalesce("n_matches", F.lit(0)).cast("long").alias("n_matches"),
-        F.coalesce("matched", F.lit("")).alias("matched"),
-        F.col("n_matches").isNotNull().alias("blocked"),
+    c, v = seen.alias("c"), found.alias("v")
+    same = (F.col("c.host") == F.col("v.host")) & F.col("c.part").eqNullSafe(F.col("v.part")) & (F.col(f"c.`{day}`") == F.col("v.at"))
+    return c.join(v, same, "left").select(
+        *[F.col(f"c.`{x}`").alias(x) for x in seen.columns],
+        F.coalesce("v.n_matches", F.lit(0)).cast("long").alias("n_matches"),
+        F.coalesce("v.matched", F.lit("")).alias("matched"),
+        F.col("v.n_matches").isNotNull().alias("blocked"),
     )
 
 
