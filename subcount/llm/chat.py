@@ -2,22 +2,25 @@
 
 reconstruct() folds a log of events per conversation into final messages. Kinds: `message` (a whole turn),
 `delta` (text added to a turn), `edit` (a new text for a turn) and `regenerate` (the turn starts anew, and
-turns after it that were logged before are gone). Turns without other events than messages pass as they
-are; only the rest is sorted by sequence and folded.
+turns after it that were logged before are gone). The events of a turn are sorted by sequence and folded: its text is
+that of the last event that isn't a delta with the deltas after it, its role the first one named. log() turns a
+table of finished turns into such a log, with drafts, edits, regenerations and streamed pieces that must fold back to
+the rows.
 
 render() writes one string per conversation. A turn is `### role: text</turn>` and a line end. Inside roles
 and texts a backslash goes before a backslash, before `#` after `#`, and between `<` and `/turn>` (roles:
 before `:` too), so no text can hold a mark, and removing the escapes gives the text back. The loss mask
 is one (skip, take, rest) per turn, in code points of that turn's stretch; take covers assistant texts.
 
-Defined cases: null text is empty; null role is empty; a row that repeats is a turn of its own; equal turn
-numbers are ordered by sequence, role and text; null conversation ids are one conversation; an empty
-table gives no rows; further columns are ignored.
+Defined cases: null text is empty; null role is empty; a row that repeats is a turn of its own; rows of equal turn
+number are ordered by role and text (their `copy` numbers); events of one sequence number are ordered by kind, role
+and text; null conversation ids are one conversation, null turns one turn before the others; an empty table gives
+no rows; further columns are ignored.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 # Fixed marks of the template.
@@ -34,40 +37,59 @@ def unescaped(text: Column) -> Column:
     return F.regexp_replace(text, F.lit(r"(?s)\\(.)"), F.lit("$1"))
 
 
-def messages(conversations: DataFrame) -> DataFrame:
-    """The events of a table of finished turns."""
-    return conversations.select("conv_id", F.col("turn").alias("seq"), "turn", F.lit("message").alias("kind"), "role", "text")
+def log(conversations: DataFrame, piece: int = 256) -> DataFrame:
+    """An event log of a table of finished turns: by the hash of a turn it is logged whole, as streamed deltas of
+    `piece` characters, as a draft with an edit, or as a draft that is regenerated and streamed again."""
+    text, role = F.coalesce("text", F.lit("")), F.coalesce("role", F.lit(""))
+    within = Window.partitionBy("conv_id", "turn").orderBy("role", "text")
+    rows = conversations.select("conv_id", "turn", role.alias("role"), text.alias("text")).withColumn("copy", F.row_number().over(within))
+    event = lambda kind, said, who=F.lit(None).cast("string"): F.struct(F.lit(kind).alias("kind"), who.alias("role"), said.alias("text"))
+    pieces = F.transform(F.sequence(F.lit(0), F.greatest(F.lit(0), F.floor((F.length("text") - 1) / piece).cast("int"))), lambda k: F.substr(F.col("text"), k * piece + 1, F.lit(piece)))
+    streamed = F.transform(pieces, lambda p: event("delta", p))
+    draft = event("message", F.reverse("text"), F.col("role"))
+    how = F.pmod(F.xxhash64("conv_id", "turn", "copy"), F.lit(4))
+    events = (
+        F.when(how == 0, F.array(event("message", F.col("text"), F.col("role"))))
+        .when(how == 1, F.concat(F.array(event("message", F.lit(""), F.col("role"))), streamed))
+        .when(how == 2, F.array(draft, event("delta", F.lit(" ...")), event("edit", F.col("text"))))
+        .otherwise(F.concat(F.array(draft, event("regenerate", F.lit(""))), streamed))
+    )
+    at = rows.select("conv_id", "turn", "copy", F.posexplode(events).alias("step", "e"))
+    # a sequence in the order of turns, so a regeneration comes before all later turns
+    return at.select("conv_id", F.struct("turn", "copy", "step").alias("seq"), "turn", "copy", "e.kind", "e.role", "e.text")
 
 
 def reconstruct(events: DataFrame) -> DataFrame:
-    """conv_id, turn, seq, role, text: the final turns of a log (conv_id, seq, turn, kind, role, text)."""
-    e = events.select("conv_id", "seq", "turn", "kind", "role", F.coalesce("text", F.lit("")).alias("text"))
+    """conv_id, turn, copy, seq, role, text: the final turns of a log (conv_id, seq, turn, kind, role, text, and
+    copy where one turn number stands for several turns)."""
+    copy = F.col("copy") if "copy" in events.columns else F.lit(0).alias("copy")
+    e = events.select("conv_id", "seq", "turn", copy, "kind", "role", F.coalesce("text", F.lit("")).alias("text"))
     redo = e.where("kind = 'regenerate'").select(F.col("conv_id").alias("c"), F.col("turn").alias("t"), F.col("seq").alias("s"))
-    e = e.join(redo, F.col("conv_id").eqNullSafe(F.col("c")) & (F.col("turn") > F.col("t")) & (F.col("seq") < F.col("s")), "left_anti")
-    touched = e.where("kind <> 'message'").select(F.col("conv_id").alias("c"), F.col("turn").alias("t")).distinct()
-    same = F.col("conv_id").eqNullSafe(F.col("c")) & F.col("turn").eqNullSafe(F.col("t"))
-    plain = e.join(touched, same, "left_anti").select("conv_id", "turn", "seq", "role", "text")
-    starts = F.max(F.when(F.col("kind") != "delta", F.col("seq"))).alias("start")
-    streamed = e.join(touched, same, "left_semi")
-    begin = streamed.groupBy("conv_id", "turn").agg(starts, F.min_by("role", F.when(F.col("role").isNotNull(), F.col("seq"))).alias("speaker"))
-    begin = begin.select(F.col("conv_id").alias("c"), F.col("turn").alias("t"), "start", "speaker")
-    folded = (
-        streamed.join(begin, same)
-        .where("start is null or seq >= start")
-        .groupBy("conv_id", "turn", "speaker")
-        .agg(F.max("seq").alias("seq"), F.sort_array(F.collect_list(F.struct("seq", "text"))).alias("parts"))
-        .select("conv_id", "turn", "seq", F.col("speaker").alias("role"), F.array_join(F.col("parts.text"), "").alias("text"))
+    redo = redo.groupBy("c", "t").agg(F.max("s").alias("s"))
+    gone = F.col("conv_id").eqNullSafe(F.col("c")) & (F.col("turn") > F.col("t")) & (F.col("seq") < F.col("s"))
+    said = F.sort_array(F.collect_list(F.struct("seq", "kind", "role", "text")))
+    turns = e.join(redo, gone, "left_anti").groupBy("conv_id", "turn", "copy").agg(said.alias("said"))
+    start = F.array_max(F.transform("said", lambda x, k: F.when(x["kind"] != "delta", k + 1).otherwise(1)))
+    roles = F.filter("said", lambda x: x["role"].isNotNull())
+    return turns.select(
+        "conv_id",
+        "turn",
+        "copy",
+        F.element_at("said", -1)["seq"].alias("seq"),
+        F.get(roles, 0)["role"].alias("role"),
+        F.array_join(F.transform(F.slice("said", start, F.size("said")), lambda x: x["text"]), "").alias("text"),
     )
-    return plain.unionByName(folded)
 
 
 def render(turns: DataFrame) -> DataFrame:
     """conv_id, formatted, mask: one row per conversation."""
     role, text = F.coalesce("role", F.lit("")), F.coalesce("text", F.lit(""))
-    pieces = turns.select("conv_id", "turn", "seq", role.alias("role"), text.alias("text")).select(
+    copy = F.col("copy") if "copy" in turns.columns else F.lit(0).alias("copy")
+    pieces = turns.select("conv_id", "turn", copy, "seq", role.alias("role"), text.alias("text")).select(
         "conv_id",
         F.struct(
             "turn",
+            "copy",
             "seq",
             "role",
             "text",

@@ -32,7 +32,7 @@ def op4_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
         F.lit(said).alias("text"),
     )
     rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text").unionByName(extra)
-    return chat.digests(chat.render(chat.reconstruct(chat.messages(rows))))
+    return chat.digests(chat.render(chat.reconstruct(chat.log(rows))))
 
 
 def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
