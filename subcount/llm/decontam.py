@@ -94,15 +94,17 @@ def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return out
 
 
-def item_chunks(benchmark: DataFrame, max_words: int) -> list[list[tuple[object, str | None]]]:
-    """Items in chunks of about max_words words; one chunk is in the driver at a time of building."""
+def chunks_of(benchmark: DataFrame, max_words: int) -> int:
+    """Into how many chunks of about max_words words the items are dealt."""
+    total = benchmark.where("text is not null").agg(F.sum(F.length("text"))).first()[0] or 0
+    return max(1, -(-total // (max_words * 4)))
+
+
+def chunk_patterns(benchmark: DataFrame, parts: int, k: int, window: int):
+    """The patterns of chunk k as a broadcast; the driver holds the items of one chunk at a time."""
     sized = benchmark.select("item_id", "text").where("text is not null")
-    total = sized.agg(F.sum(F.length("text"))).first()[0] or 0
-    parts = max(1, -(-total // (max_words * 4)))
-    if parts == 1:
-        return [[tuple(r) for r in sized.collect()]]
-    part = F.pmod(F.xxhash64("item_id", "text"), F.lit(parts))
-    return [[tuple(r) for r in sized.where(part == k).collect()] for k in range(parts)]
+    items = sized if parts == 1 else sized.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(parts)) == k)
+    return benchmark.sparkSession.sparkContext.broadcast(Patterns([tuple(r) for r in items.collect()], window))
 
 
 def find(
@@ -115,12 +117,11 @@ def find(
 ) -> DataFrame:
     """Per document: n_words, merged hit spans (in words) and the ids (as text) of items with hits."""
     schema = "doc_id long, n_words long, spans array<struct<s:long,e:long>>, items array<string>"
-    spark = docs.sparkSession
     out = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
-    chunks = item_chunks(benchmark, max_words)
-    for k, chunk in enumerate(chunks):
-        patterns = spark.sparkContext.broadcast(Patterns(chunk, window))
-        last, first = k == len(chunks) - 1, k == 0
+    parts = chunks_of(benchmark, max_words)
+    for k in range(parts):
+        patterns = chunk_patterns(benchmark, parts, k, window)
+        last, first = k == parts - 1, k == 0
 
         def make(patterns=patterns, first=first, last=last):
             def step(cols):
@@ -165,17 +166,17 @@ def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDO
     With more than one chunk the hit spans so far go along as a column of the row, and the last pass filters
     on all of them, so each row is judged by itself whatever its id.
     """
-    chunks = item_chunks(benchmark, max_words)
+    parts = chunks_of(benchmark, max_words)
     spans = "spans"
     while spans in docs.columns:
         spans += "_"
     out = docs
-    if len(chunks) > 1:
+    if parts > 1:
         out = docs.withColumn(spans, F.lit(None).cast("array<struct<s:long,e:long>>"))
-    for k, chunk in enumerate(chunks):
-        patterns = docs.sparkSession.sparkContext.broadcast(Patterns(chunk, window))
+    for k in range(parts):
+        patterns = chunk_patterns(benchmark, parts, k, window)
 
-        def make(patterns=patterns, first=k == 0, last=k == len(chunks) - 1):
+        def make(patterns=patterns, first=k == 0, last=k == parts - 1):
             def step(batch: pa.RecordBatch) -> pa.RecordBatch:
                 texts = batch.column(batch.schema.get_field_index("text")).to_pylist()
                 at = batch.schema.get_field_index(spans)
@@ -197,4 +198,4 @@ def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDO
             return step
 
         out = rewrite_batches(out, make)
-    return out.drop(spans) if len(chunks) > 1 else out
+    return out.drop(spans) if parts > 1 else out

@@ -121,11 +121,12 @@ def pack(
     id_col: str = "doc_id",
     text_col: str = "text",
 ) -> DataFrame:
-    """One row per piece of each document; with_ids adds the token ids of the piece."""
-    vocabulary = vocabulary or public_vocabulary()
+    """One row per piece of each document; with_ids adds the token ids of the piece. A vocabulary that is given
+    is read by each worker at that path."""
 
     def make():
-        encode, open_bins = tokens(*vocabulary), OpenBins(capacity, bins)
+        # the path of the public vocabulary is that of the worker, which may differ from the driver's
+        encode, open_bins = tokens(*(vocabulary or public_vocabulary())), OpenBins(capacity, bins)
         base = TaskContext.get().partitionId() << 40
 
         def step(cols):

@@ -12,6 +12,10 @@ Decoding is Viterbi. What a run of begin and inside states can win at most over
 over its tokens; a token in no run with a positive bound is outside in every best path, so lines are cut
 there and only the short rests are decoded, all at once. Features are computed as arrays over code points.
 
+The sample: at most `bound` documents (1500), of their lines at most `lines` (3000) with a secret and, up to the
+same number, as many others. A run of tagged tokens counts from `least` characters on (12): the labels are values
+of 20 or 24 characters and assignments, and shorter runs that no fixed pattern names are mostly words and numbers.
+
 Defined cases: null text is empty and has no spans; a model without any positive line adds nothing; spans
 of the model that touch a fixed one are dropped; repeated rows give equal rows; further columns are
 ignored (query) or kept (redaction).
@@ -39,7 +43,7 @@ KINDS = {"assign": 0, "access": 1, "hex": 2, "crf": 3}
 SCHEMA = "doc_id long, n_assign long, n_access long, n_hex long, base_sha256 string, spans string, n_crf long"
 BEGIN, INSIDE, OUTSIDE = 0, 1, 2
 BITS = 16
-MIN_CHARS = 12  # shorter values are words and numbers
+LEAST = 12  # characters of a run of tagged tokens
 _A, _B = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
 
 
@@ -291,7 +295,7 @@ def fit_texts(texts: list[str], lines: int = 3000, width: int = 64) -> Field:
     return Field().fit(with_[:lines] + [without[k] for k in keep])
 
 
-def scan_texts(texts: list[str | None], field: Field, chars: int = 1 << 19) -> list[tuple[list, list]]:
+def scan_texts(texts: list[str | None], field: Field, chars: int = 1 << 19, least: int = LEAST) -> list[tuple[list, list]]:
     """(base spans, added spans) of each text; texts are laid out together up to about `chars` code points."""
     out: list[tuple[list, list]] = []
     group: list[str] = []
@@ -311,7 +315,7 @@ def scan_texts(texts: list[str | None], field: Field, chars: int = 1 << 19) -> l
                 added[d].append(("crf", int(tokens.start[a] - tokens.offset[d]), int(tokens.end[b] - tokens.offset[d])))
         for text, more in zip(group, added):
             base = base_spans(text)
-            more = [m for m in more if m[2] - m[1] >= MIN_CHARS and not any(m[1] < e and s < m[2] for _, s, e, _ in base)]
+            more = [m for m in more if m[2] - m[1] >= least and not any(m[1] < e and s < m[2] for _, s, e, _ in base)]
             out.append((base, more))
         group.clear()
 
@@ -327,13 +331,14 @@ def scan_texts(texts: list[str | None], field: Field, chars: int = 1 << 19) -> l
     return out
 
 
-def scan(docs: DataFrame, field: Field) -> DataFrame:
+def scan(docs: DataFrame, field: Field, least: int = LEAST) -> DataFrame:
+    """doc_id, counts of the base spans by kind, digest of those, all spans, and the number of added ones."""
     shared = docs.sparkSession.sparkContext.broadcast(field)
 
     def make():
         def step(cols):
             out: dict[str, list] = {k: [] for k in ("doc_id", "n_assign", "n_access", "n_hex", "base_sha256", "spans", "n_crf")}
-            for doc_id, (base, more) in zip(cols["doc_id"], scan_texts(cols["text"], shared.value)):
+            for doc_id, (base, more) in zip(cols["doc_id"], scan_texts(cols["text"], shared.value, least=least)):
                 kinds = [k for k, *_ in base]
                 row = (doc_id, *(kinds.count(k) for k in ("assign", "access", "hex")), hashlib.sha256(joined(base).encode()).hexdigest(), joined([*base, *more]), len(more))
                 for name, value in zip(out, row):
@@ -356,7 +361,7 @@ def redacted(text: str, base, more, mark: str = "[SECRET]") -> str:
     return "".join([*parts, text[at:]])
 
 
-def redact(docs: DataFrame, field: Field, mark: str = "[SECRET]") -> DataFrame:
+def redact(docs: DataFrame, field: Field, mark: str = "[SECRET]", least: int = LEAST) -> DataFrame:
     """The same rows and columns with secrets masked in text."""
     shared = docs.sparkSession.sparkContext.broadcast(field)
 
@@ -364,7 +369,7 @@ def redact(docs: DataFrame, field: Field, mark: str = "[SECRET]") -> DataFrame:
         def step(batch):
             at = batch.schema.get_field_index("text")
             texts = batch.column(at).to_pylist()
-            found = scan_texts(texts, shared.value)
+            found = scan_texts(texts, shared.value, least=least)
             new = [t if t is None or not (b or m) else redacted(t, b, m, mark) for t, (b, m) in zip(texts, found)]
             return batch.set_column(at, batch.schema.field(at), pa.array(new, batch.schema.field(at).type))
 

@@ -14,7 +14,7 @@ def test_decontamination_in_chunks_judges_each_row_by_itself(spark):
     rows = [(None, dirty, "a"), (None, clean, "b"), (1, dirty, "c"), (1, clean, "d"), (2, clean, "e"), (2, clean, "f"), (3, None, "g"), (4, "", "h"), (5, both, "i")]
     docs = spark.createDataFrame(rows, SCHEMA)
     items = spark.createDataFrame([(1, "ab cd"), (2, "ef gh"), (3, "never met")], "item_id long, text string")
-    assert len(decontam.item_chunks(items, 1)) > 1
+    assert decontam.chunks_of(items, 1) > 1
     for n in (1, decontam.MAX_WORDS):
         got = decontam.drop_contaminated(docs, items, max_words=n)
         assert got.columns == docs.columns
