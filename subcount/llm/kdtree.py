@@ -1,11 +1,14 @@
 """Sharding by a k-d tree: nodes are split at weighted medians along their widest metadata dimension.
 
 Dimensions are source, language, size and id, each a whole-number key: 20 bits of the value, then 22 bits
-of the text's hash, then 20 bits of the id's hash. Equal texts take the least source, language and id of
-their group, so they lie together and a cut goes through a group only if it is too heavy to stay whole. A node of k shards is cut where its bytes stand k // 2 to the rest. The cut is found by
-descending the key's bits, 12 at a time, for all nodes of a level in one job: each job sums bytes by (node,
-bucket) and sends at most nodes x 4096 sums to the driver, whatever the number of rows. It stops when the
-bucket that holds the median is too light to matter.
+of the text's hash, then 20 bits of the id's hash. Size and id are as wide in a node as their range there to the
+range of all rows; source and language, which have no order, as the number of their values there to that of all rows.
+Equal texts take the least source, language and id of their group, so they lie together and a cut goes through a
+group only if it is too heavy to stay whole. A node of k shards is cut where its bytes stand k // 2 to the rest.
+The cut is found by descending the key's bits, 12 at a time, for all nodes of a level in one job: bytes are summed by
+(node, bucket), at most 4096 buckets a node, and one row a node comes back: the bucket that holds the median. It stops
+when that bucket is too light to matter. Cuts go to the rows as broadcast tables of one row per node of a level, so
+what is sent and collected is bounded by the number of shards.
 
 Texts are read once; the tree works on a narrow table in the shared folder. Slots are numbered within
 (shard, id-hash) parts whose offsets come from counts, so no task gathers a shard.
@@ -19,13 +22,15 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialize
+from .common import join_heavy, materialize
 
 SHARDS, OVERHEAD = 40, 16
 DIMENSIONS = ("source", "lang", "size", "id")
+NOMINAL = ("source", "lang")
 BITS, OWN_BITS, STEP = 62, 20, 12  # all, those of the id alone, those of one job
 TOLERANCE = 0.001  # of a shard's bytes: lighter buckets need no further look
 GROUP_TOLERANCE = 0.01  # groups of equal texts up to this share of a shard stay whole at a cut
@@ -43,15 +48,41 @@ class Node:
     cut: int = 0
     sides: list[Node] = field(default_factory=list)
 
-    def leaf(self) -> Column:
-        """The path number of the leaf that a row falls into."""
-        if self.dim is None:
-            return F.lit(self.path)
-        return F.when(F.col(f"k_{self.dim}") < self.cut, self.sides[0].leaf()).otherwise(self.sides[1].leaf())
-
     def leaves(self) -> list[Node]:
         return [self] if self.dim is None else [x for s in self.sides for x in s.leaves()]
 
+    def levels(self) -> list[list[Node]]:
+        """The cut nodes, level by level."""
+        out, now = [], [self]
+        while now := [n for n in now if n.dim is not None]:
+            out.append(now)
+            now = [x for n in now for x in n.sides]
+        return out
+
+
+def _small(rows: DataFrame, columns: dict[str, list], kinds: list[pa.DataType]) -> DataFrame:
+    """A broadcast table of a row per node."""
+    table = pa.table({k: pa.array(v, t) for (k, v), t in zip(columns.items(), kinds)})
+    return F.broadcast(rows.sparkSession.createDataFrame(table))
+
+
+def _key(dim: str) -> Column:
+    """The key of the dimension whose number is in a column."""
+    return F.element_at(F.array(*[F.col(f"k_{d}") for d in DIMENSIONS]), F.col(dim) + 1)
+
+
+def at_nodes(rows: DataFrame, root: Node) -> DataFrame:
+    """rows with `node`, the path number of their leaf."""
+    out = rows.withColumn("node", F.lit(root.path).cast("long"))
+    levels = root.levels()
+    if levels:
+        out = rows.withColumn("node", 2 * root.path + (F.col(f"k_{root.dim}") >= root.cut).cast("long"))
+    for level in levels[1:]:
+        cuts = _small(rows, {"node": [n.path for n in level], "dim": [DIMENSIONS.index(n.dim) for n in level], "cut": [n.cut for n in level]}, [pa.int64(), pa.int32(), pa.int64()])
+        down = 2 * F.col("node") + (_key("dim") >= F.col("cut")).cast("long")
+        out = out.join(cuts, "node", "left").withColumn("node", F.when(F.col("dim").isNull(), F.col("node")).otherwise(down)).drop("dim", "cut")
+    return out
+
 
 def points(docs: DataFrame) -> DataFrame:
     """doc_id, size, text_crc32 and one key per dimension; equal texts get the least values of their group."""
@@ -67,7 +98,8 @@ def points(docs: DataFrame) -> DataFrame:
         )
     )
     group = ["text_hash", "size"]
-    places = flat.groupBy(*group).agg(F.min("source").alias("g_source"), F.min("lang").alias("g_lang"), F.min("doc_id").alias("g_id"))
+    least = [F.min(c).alias(f"g_{d}") for c, d in (("source", "source"), ("lang", "lang"), ("doc_id", "id"))]
+    places = materialize(flat.groupBy(*group).agg(F.count("*").alias("rows"), *least).where("rows > 1"))
 
     def key(value: Column) -> Column:
         high = F.shiftleft(F.least(F.greatest(value, F.lit(0)), F.lit((1 << 20) - 1)).cast("long"), BITS - 20)
@@ -77,7 +109,9 @@ def points(docs: DataFrame) -> DataFrame:
     def named(col: str) -> Column:
         return F.pmod(F.xxhash64(col), F.lit(1 << 20))
 
-    return flat.join(places, group).select(
+    own = [F.when(F.col("rows_").isNotNull(), F.col(f"g_{d}")).otherwise(F.col(c)).alias(f"g_{d}") for c, d in (("source", "source"), ("lang", "lang"), ("doc_id", "id"))]
+    joined = join_heavy(flat, places.withColumn("rows_", F.col("rows")), group, "rows", flat.count())
+    return joined.select("doc_id", "size", "text_crc32", "text_hash", *own).select(
         "doc_id",
         "size",
         "text_crc32",
@@ -89,44 +123,49 @@ def points(docs: DataFrame) -> DataFrame:
 
 
 def grow(rows: DataFrame, shards: int = SHARDS, tolerance: float = TOLERANCE) -> Node:
-    """The tree over points(), from jobs that return sums only."""
-    keys = [f"k_{d}" for d in DIMENSIONS]
-    first = rows.agg(F.sum("size").alias("all"), *[F.min(k).alias(f"lo_{k}") for k in keys], *[F.max(k).alias(f"hi_{k}") for k in keys]).first()
+    """The tree over points(), from jobs that return a row per node."""
+    keys = {d: F.col(f"k_{d}") for d in DIMENSIONS}
+
+    def widths():
+        for d, k in keys.items():
+            yield (F.approx_count_distinct(F.shiftright(k, BITS - 20)) - 1 if d in NOMINAL else F.max(k) - F.min(k)).alias(d)
+
+    first = rows.agg(F.sum("size").alias("all"), *widths()).first()
     root = Node(0, shards, 1)
     if not first["all"]:
         return root
-    width = {k: max(1, first[f"hi_{k}"] - first[f"lo_{k}"]) for k in keys}
     enough = tolerance * first["all"] / shards
     while todo := [n for n in root.leaves() if n.count > 1]:
-        at = rows.withColumn("node", root.leaf())
-        spread = at.groupBy("node").agg(F.sum("size").alias("w"), *[(F.max(k) - F.min(k)).alias(k) for k in keys]).collect()
-        spread = {r["node"]: r for r in spread}
+        at = at_nodes(rows, root)
+        spread = {r["node"]: r for r in at.groupBy("node").agg(F.sum("size").alias("w"), *widths()).collect()}
         goal, base, prefix, chosen = {}, {}, {}, {}
         for n in todo:
             r = spread.get(n.path)
-            chosen[n.path] = max(DIMENSIONS, key=lambda d: r[f"k_{d}"] / width[f"k_{d}"]) if r else DIMENSIONS[0]
+            chosen[n.path] = max(DIMENSIONS, key=lambda d: r[d] / max(1, first[d])) if r else DIMENSIONS[0]
             goal[n.path], base[n.path], prefix[n.path] = (r["w"] if r else 0) * (n.count // 2) / n.count, 0, 0
-        active, shift, cuts = {n.path for n in todo if n.path in spread}, BITS, {n.path: 0 for n in todo}
+        active, shift, cuts = [n.path for n in todo if n.path in spread], BITS, {n.path: 0 for n in todo}
         while active:
             step = min(STEP, shift - OWN_BITS if shift > OWN_BITS else shift)
-            key = F.coalesce(*[F.when(F.col("node").isin([p for p in active if chosen[p] == d]), F.col(f"k_{d}")) for d in DIMENSIONS if any(chosen[p] == d for p in active)])
-            above = F.coalesce(*[F.when(F.col("node") == p, F.lit(prefix[p])) for p in active])
-            part = at.select("node", "size", key.alias("key"), above.alias("above")).where("key is not null")
-            part = part.where(F.shiftright("key", shift) == F.col("above"))
+            state = {
+                "node": active,
+                "dim": [DIMENSIONS.index(chosen[p]) for p in active],
+                "prefix": [prefix[p] for p in active],
+                "base": [base[p] for p in active],
+                "goal": [goal[p] for p in active],
+            }
+            part = at.join(_small(rows, state, [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.float64()]), "node")
+            part = part.where(F.shiftright(_key("dim"), shift) == F.col("prefix"))
             shift -= step
-            sums: dict[int, list[tuple[int, int]]] = {}
-            for r in part.groupBy("node", F.shiftright("key", shift).alias("bucket")).agg(F.sum("size").alias("w")).collect():
-                sums.setdefault(r["node"], []).append((r["bucket"], r["w"]))
-            for p in list(active):
-                for bucket, w in sorted(sums[p]):
-                    if base[p] + w > goal[p]:
-                        break
-                    base[p] += w
-                prefix[p] = bucket
+            sums = part.groupBy("node", F.shiftright(_key("dim"), shift).alias("bucket")).agg(F.sum("size").alias("w"), F.first("base").alias("base"), F.first("goal").alias("goal"))
+            upto = F.sum("w").over(Window.partitionBy("node").orderBy("bucket").rowsBetween(Window.unboundedPreceding, 0))
+            middle = sums.withColumn("upto", F.col("base") + upto).where("upto > goal and upto - w <= goal")
+            for r in middle.select("node", "bucket", "w", "upto").collect():
+                p, w = r["node"], r["w"]
+                base[p], prefix[p] = r["upto"] - w, r["bucket"]
                 if shift == 0 or w <= enough or shift == OWN_BITS and w <= enough * GROUP_TOLERANCE / TOLERANCE:
-                    active.discard(p)
+                    active.remove(p)
                     after = base[p] + w - goal[p] < goal[p] - base[p]  # the nearer side of the last bucket
-                    cuts[p] = (bucket + after) << shift
+                    cuts[p] = (prefix[p] + after) << shift
         for n in todo:
             half = n.count // 2
             n.dim, n.cut = chosen[n.path], cuts[n.path]
@@ -141,10 +180,11 @@ def shard(docs: DataFrame, shards: int | None = SHARDS, target_bytes: int | None
     if target_bytes:
         shards = max(1, -(-(total or 0) // target_bytes))
     tree = grow(rows, shards)
-    names = {leaf.path: leaf.first for leaf in tree.leaves()}
+    leaves = tree.leaves()
+    names = _small(rows, {"node": [n.path for n in leaves], "shard": [n.first for n in leaves]}, [pa.int64(), pa.int64()])
     parts = max(8, -(-count // (shards * PART_ROWS)))
-    number = F.element_at(F.create_map(*[F.lit(x) for kv in names.items() for x in kv]), tree.leaf())
-    placed = rows.select("doc_id", "size", "text_crc32", number.alias("shard"), F.pmod(F.xxhash64("doc_id", "text_crc32"), F.lit(parts)).alias("part"))
+    part = F.pmod(F.xxhash64("doc_id", "text_crc32"), F.lit(parts)).alias("part")
+    placed = at_nodes(rows, tree).join(names, "node").select("doc_id", "size", "text_crc32", "shard", part)
     counts = placed.groupBy("shard", "part").count()
     before = Window.partitionBy("shard").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     offsets = counts.select("shard", "part", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("offset"))

@@ -175,6 +175,45 @@ def test_kd_shards_are_even(spark, odd):
     assert kdtree.shard(odd, 3).count() == len(TEXTS) + 1 and kdtree.shard(empty(spark), 3).count() == 0
 
 
+def test_kd_tree_equals_a_plain_one(spark):
+    """Cuts of tolerance 0 are those of a search over sorted keys, along the dimension that is widest by counting."""
+    rows = kdtree.materialize(kdtree.points(spark.read.parquet(f"{SF}/documents.parquet")))
+    points = rows.toPandas()
+    width = lambda p, d: p[f"k_{d}"].map(lambda k: k >> 42).nunique() - 1 if d in kdtree.NOMINAL else int(p[f"k_{d}"].max()) - int(p[f"k_{d}"].min())
+    whole = {d: max(1, width(points, d)) for d in kdtree.DIMENSIONS}
+
+    def check(node, mine):
+        if node.count == 1:
+            assert node.dim is None
+            return
+        assert node.dim == max(kdtree.DIMENSIONS, key=lambda d: width(mine, d) / whole[d])
+        keys = mine.groupby(f"k_{node.dim}")["size"].sum().sort_index()
+        goal, base = mine["size"].sum() * (node.count // 2) / node.count, 0
+        for key, w in keys.items():
+            if base + w > goal:
+                break
+            base += w
+        assert node.cut == key + (base + w - goal < goal - base)
+        low = mine[f"k_{node.dim}"] < node.cut
+        check(node.sides[0], mine[low])
+        check(node.sides[1], mine[~low])
+
+    tree = kdtree.grow(rows, 6, tolerance=0)
+    check(tree, points)
+    got = kdtree.at_nodes(rows, tree).groupBy("node").count().collect()
+    assert {r["node"] for r in got} <= {n.path for n in tree.leaves()} and sum(r["count"] for r in got) == len(points)
+
+
+def test_kd_leaves_reach_the_target_bytes(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    got = kdtree.shard(docs, target_bytes=30_000).toPandas()
+    sizes = got.groupby("shard")["size"].sum()
+    assert got["shard"].max() + 1 <= -(-got["size"].sum() // 30_000) and (sizes - 30_000).max() <= got["size"].max()
+    same = spark.createDataFrame([(i, "one text", "en", f"s{i % 3}") for i in range(400)] + [(500 + i, f"text {i}", "de", "t") for i in range(400)], "doc_id long, text string, lang string, source string")
+    one = kdtree.shard(same, 3).toPandas()  # a hot group is cut, since it is too heavy for a shard
+    assert one.groupby("shard")["size"].sum().max() < 1.1 * one["size"].sum() / 3
+
+
 def test_near_duplicates_match_brute_force(spark):
     r = random.Random(6)
     base = [[f"w{r.randint(0, 999)}" for _ in range(80)] for _ in range(6)]
