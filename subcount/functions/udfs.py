@@ -16,13 +16,7 @@ def kwise61(coeffs: list[int]):
 
     @F.pandas_udf("long")
     def polynomial(x: pd.Series) -> pd.Series:
-        prime, out = (1 << 61) - 1, []
-        for v in x:
-            h = 0
-            for c in coeffs:
-                h = (h * int(v) + c) % prime
-            out.append(h)
-        return pd.Series(out, dtype="int64")
+        return pd.Series(hashing.kwise_values(x.to_numpy() % hashing.P61, coeffs, hashing.P61).astype("int64"))
 
     return polynomial
 

@@ -4,11 +4,15 @@ from __future__ import annotations
 
 import math
 from dataclasses import asdict, dataclass
+from functools import reduce
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..model import arcs, degrees, size
+from ..session import ship
 from ..storage import materialize
 from . import exact, hashing
 
@@ -25,35 +29,67 @@ class Plan:
     mode: str
     seed: int = 1
     verdict: str = ""
+    ids: int = 0  # vertex ids are under it; n if not given
 
     @property
-    def threshold(self) -> int:
-        return hashing.threshold(self.p)
+    def largest(self) -> int:
+        return self.ids or self.n
 
+    @property
+    def prime(self) -> int:
+        return hashing.field(self.largest * self.machines)
 
-def plan(n: int, m: int, space: int | None = None, eps: float = 0.5, k: int | None = None, mode: str = "experiment", delta: float = 0.5, p: float | None = None, machines: int | None = None, space_constant: float = 15, denominator: str = "edges", seed: int = 1, triangles: int | None = None) -> Plan:
+    @property
+    def threshold(self) -> int:
+        return hashing.threshold(self.p, self.prime)
+
+
+def plan(
+    n: int,
+    m: int,
+    space: int | None = None,
+    eps: float = 0.5,
+    k: int | None = None,
+    mode: str = "experiment",
+    delta: float = 0.5,
+    p: float | None = None,
+    machines: int | None = None,
+    space_constant: float = 15,
+    denominator: str = "edges",
+    seed: int = 1,
+    triangles: int | None = None,
+    vertices: int = 3,
+    replicas: str | None = None,
+    ids: int = 0,
+) -> Plan:
     """Space, sampling probability, machines and independence, with a verdict on the guarantee's conditions.
 
     theory: p = eps/10 sqrt(S/(m k)), k = 6 ln n; experiment: S = 2 m^delta ln n, total 2 m ln m, p = 1/5
     sqrt(S/(m k)), k = max(2, floor(6.5 ln n)); linear: S = 100 n ln n; explicit: p and machines given.
+
+    The number of machines follows a policy: lemma, 20 / (eps^2 p^(vertices - 1)) for patterns of so many vertices,
+    or budget, as many as share a total of 2 m ln m (the default of experiment).
     """
     if m <= 0 or n <= 0:
         raise ValueError("a plan needs edges")
+    replicas = replicas or ("budget" if mode == "experiment" else "lemma")
+    if replicas not in ("lemma", "budget"):
+        raise ValueError(f"replicas is lemma or budget, not {replicas}")
     ln = math.log(max(2, n))
     if mode == "explicit":
-        if p is None or machines is None:
-            raise ValueError("an explicit plan names p and machines")
-        return Plan(n, m, space or m, p, machines, k or 6, eps, mode, seed, "explicit")
+        if p is None:
+            raise ValueError("an explicit plan names p")
+        machines = machines or _machines(replicas, m, space or m, p, eps, vertices)
+        return Plan(n, m, space or m, p, machines, k or 6, eps, mode, seed, "explicit", ids)
     k = k or (max(2, int(6.5 * ln)) if mode == "experiment" else max(2, math.ceil(6 * ln)))
     if space is None:
         space = int(2 * m**delta * ln) if mode == "experiment" else int(100 * n * ln) if mode == "linear" else int(space_constant * math.sqrt(m * k) / eps)
-    total = int(2 * m * math.log(max(2, m)))
-    if machines is None:
-        machines = max(1, -(-total // space)) if mode == "experiment" else None
+    if machines is None and replicas == "budget":
+        machines = _machines(replicas, m, space, 1.0, eps, vertices)
     base = m if denominator == "edges" or machines is None else machines
     scale = 0.2 if mode == "experiment" else eps / 10
     p = min(1.0, p if p is not None else scale * math.sqrt(space / (base * k)))
-    machines = machines or max(1, math.ceil(20 / (eps**2 * p**2)))
+    machines = machines or _machines(replicas, m, space, p, eps, vertices)
     found = []
     if space >= m:
         found.append("the graph fits one machine")
@@ -61,51 +97,79 @@ def plan(n: int, m: int, space: int | None = None, eps: float = 0.5, k: int | No
         found.append("space under the bound for heavy vertices")
     if space < 100 * k * n * n / m:
         found.append("space under the bound for light edges")
+    if machines < _machines("lemma", m, space, p, eps, vertices):
+        found.append("fewer machines than the lemma asks for")
     if triangles is not None and triangles < 1 / p:
         found.append("fewer triangles than 1/p")
-    return Plan(n, m, space, p, machines, k, eps, mode, seed, "; ".join(found) or "guaranteed")
+    return Plan(n, m, space, p, machines, k, eps, mode, seed, "; ".join(found) or "guaranteed", ids)
+
+
+def _machines(replicas: str, m: int, space: int, p: float, eps: float, vertices: int) -> int:
+    if replicas == "budget":
+        return max(1, -(-int(2 * m * math.log(max(2, m))) // space))
+    return max(1, math.ceil(20 / (eps**2 * p ** (vertices - 1))))
 
 
 def plan_row(spark: SparkSession, p: Plan) -> DataFrame:
     d = asdict(p)
-    return spark.createDataFrame([tuple(d.values())], "n long, m long, space long, p double, machines long, k int, eps double, mode string, seed int, verdict string")
+    return spark.createDataFrame([tuple(d.values())], "n long, m long, space long, p double, machines long, k int, eps double, mode string, seed int, verdict string, ids long")
 
 
 def memberships(edges: DataFrame, p: Plan, reps: int = 1, how: str = "kwise") -> DataFrame:
-    """(rep, i, v): the vertices of each machine's sample, hashed once per (vertex, machine)."""
+    """(rep, i, v): the machines of each vertex, worked out where the vertex is; only members become rows.
+
+    kwise: the polynomial at the key of (v, i), for blocks of machines at a time. mixed: a generator seeded by
+    the vertex skips from machine to machine, so a vertex costs its memberships and not all machines.
+    """
     v = arcs(edges).select(F.col("src").alias("v")).distinct()
-    x = F.pmod(F.col("v"), F.lit(hashing.P31 // max(1, p.machines))) * p.machines + F.col("i")
-    parts = []
-    at = v.withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(p.machines - 1)))).withColumn("i", F.col("i").cast("long"))
-    for rep in range(reps):
-        h = hashing.kwise(x, hashing.coefficients(p.k, p.seed, rep)) if how == "kwise" else hashing.mixed(F.col("v"), F.col("i"), seed=p.seed * 1000 + rep)
-        parts.append(at.where(h < p.threshold).select(F.lit(rep).alias("rep"), "i", "v"))
-    out = parts[0]
-    for x in parts[1:]:
-        out = out.unionAll(x)
-    return out
+    if how == "kwise":
+        v = v.select(hashing.checked(F.col("v"), p.largest).alias("v"))
+    tables = [hashing.coefficients(p.k, p.seed, rep, p.prime) for rep in range(reps)] if how == "kwise" else []
+    prime, below, machines, seed, share = p.prime, p.threshold, p.machines, p.seed, p.p
+
+    def run(batches):
+        for batch in batches:
+            ids = batch.column(0).to_numpy()
+            for rep in range(reps):
+                if how == "mixed":
+                    found = [hashing.skips(int(x), share, machines, seed, rep) for x in ids]
+                    yield _members(rep, np.concatenate([*found, np.empty(0, np.int64)]), np.repeat(ids, [len(f) for f in found]))
+                    continue
+                for s in range(0, len(ids), 4096):
+                    part = ids[s : s + 4096]
+                    for start in range(0, machines, 256):
+                        i = np.arange(start, min(machines, start + 256))
+                        at = np.nonzero(hashing.kwise_values(part[:, None] * machines + i, tables[rep], prime) < below)
+                        yield _members(rep, i[at[1]], part[at[0]])
+
+    ship(edges.sparkSession)
+    return v.mapInArrow(run, "rep int, i long, v long")
+
+
+def _members(rep: int, i: np.ndarray, v: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(np.full(len(v), rep, np.int32)), pa.array(i.astype(np.int64)), pa.array(v.astype(np.int64))], ["rep", "i", "v"])
 
 
 def assign(edges: DataFrame, p: Plan, reps: int = 1, how: str = "lists", hash_: str = "kwise") -> DataFrame:
     """(rep, i, src, dst): the edges each machine gets. lists: memberships joined to both ends; inline: each
-    edge tests all machines by itself, nothing is shuffled; pairs: all pairs of a sample are looked up."""
+    edge tests all machines by itself, nothing is shuffled (k-wise hashes); pairs: all pairs of a sample are looked up."""
     if how == "inline":
+        if hash_ != "kwise":
+            raise ValueError("inline samples use k-wise hashes")
         parts = []
         for rep in range(reps):
-            c = hashing.coefficients(p.k, p.seed, rep)
-            keep = lambda v, i: (hashing.kwise(F.pmod(F.col(v), F.lit(hashing.P31 // max(1, p.machines))) * p.machines + i, c) if hash_ == "kwise" else hashing.mixed(F.col(v), i.cast("long"), seed=p.seed * 1000 + rep)) < p.threshold  # noqa: E731, B023
+            c = hashing.coefficients(p.k, p.seed, rep, p.prime)
+            keep = lambda v: hashing.kwise(hashing.pair_key(F.col(v), F.col("i"), p.largest, p.machines), c, p.prime) < p.threshold  # noqa: E731, B023
             at = edges.withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(p.machines - 1)).cast("array<long>")))
-            parts.append(at.where(keep("src", F.col("i"))).where(keep("dst", F.col("i"))).select(F.lit(rep).alias("rep"), "i", "src", "dst"))
-        out = parts[0]
-        for x in parts[1:]:
-            out = out.unionAll(x)
-        return out
+            parts.append(at.where(keep("src")).where(keep("dst")).select(F.lit(rep).alias("rep"), "i", "src", "dst"))
+        return reduce(DataFrame.unionAll, parts)
     mem = memberships(edges, p, reps, hash_)
     if how == "pairs":
         x = mem.withColumnRenamed("v", "src").join(mem.withColumnRenamed("v", "dst"), ["rep", "i"]).where("src < dst")
         return x.join(edges, ["src", "dst"], "left_semi").select("rep", "i", "src", "dst")
     if how != "lists":
         raise ValueError(f"how is lists, inline or pairs, not {how}")
+    mem = materialize(mem)
     e = edges.join(mem.withColumnRenamed("v", "src"), "src")
     return e.join(mem.withColumnRenamed("v", "dst"), ["rep", "i", "dst"], "left_semi").select("rep", "i", "src", "dst")
 
@@ -162,18 +226,23 @@ def estimate_mom(edges: DataFrame, p: Plan, groups: int, per_group: int, **optio
     return lower_median(means, "mean")
 
 
-def estimate_pattern(edges: DataFrame, name: str, p: Plan) -> DataFrame:
-    """Copies of a small pattern: each sample's count by labelled joins over p^vertices R."""
+def estimates_of(edges: DataFrame, name: str, p: Plan, reps: int = 1) -> DataFrame:
+    """Copies of a small pattern, a row per repetition: each sample's count by labelled joins over p^vertices R."""
     from . import patterns
 
     pattern = patterns.NAMED[name]
-    sent = materialize(assign(edges, p))
-    fit = sent.join(sizes(sent, p).where("kept").select("rep", "i"), ["rep", "i"], "left_semi")
+    sent = materialize(assign(edges, p, reps))
+    fit = sent.join(sizes(sent, p, reps).where("kept").select("rep", "i"), ["rep", "i"], "left_semi")
     labelled = patterns.embeddings(fit, pattern, ("rep", "i"))
-    out = scaled(sent, labelled.select("rep", "i"), p, 1, pattern.n)
+    out = scaled(sent, labelled.select("rep", "i"), p, reps, pattern.n)
     return out.withColumn("estimate", F.col("estimate") / pattern.automorphisms()).withColumn("hits", F.expr(f"hits div {pattern.automorphisms()}"))
 
 
+def estimate_pattern(edges: DataFrame, name: str, p: Plan, reps: int = 1) -> DataFrame:
+    """The median over repetitions of a pattern's estimates."""
+    return lower_median(estimates_of(edges, name, p, reps), "estimate")
+
+
 def load_profile(edges: DataFrame, p: Plan, reps: int = 1) -> DataFrame:
     """Per sample: edges, those with both ends light (degree under k/p), heavy vertices, and the space."""
     heavy = degrees(edges).where(F.col("deg") >= p.k / p.p).select("v", F.lit(1).alias("h"))
@@ -189,11 +258,20 @@ def copies_per_edge(edges: DataFrame, p: Plan) -> DataFrame:
     return edges.join(z, ["src", "dst"], "left").groupBy(F.coalesce("copies", F.lit(0)).alias("copies")).agg(F.count("*").alias("edges"))
 
 
+def repetitions(n: int) -> int:
+    """100 ln n, the number of repetitions whose median the guarantee is about."""
+    return math.ceil(100 * math.log(max(2, n)))
+
+
 def for_graph(edges: DataFrame, **options) -> Plan:
-    """The plan of this graph. An explicit plan without a space gets the mean of a sample's edges plus four
+    """The plan of this graph, whose ids must not be negative (model.renumbered gives such). An explicit plan without a space gets the mean of a sample's edges plus four
     standard deviations: p^2 m edges are expected, and edges that share a vertex come together more often.
     By Chebyshev fewer than one sample in 16 overflows, whatever the size or the skew of the graph."""
     n, m = size(edges).first()
+    least, most = edges.agg(F.min("src"), F.max("dst")).first()
+    if least is not None and least < 0:
+        raise ValueError("vertex ids are negative: number the vertices with model.renumbered")
+    options = {"ids": 1 + (most or 0)} | options
     if m and options.get("mode") == "explicit" and options.get("space") is None and options.get("p") is not None:
         p = options["p"]
         shared = degrees(edges).agg(F.sum((F.col("deg") * (F.col("deg") - 1)).cast("double"))).first()[0]

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import random
 
+import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -11,6 +12,57 @@ P31 = (1 << 31) - 1
 P61 = (1 << 61) - 1
 
 
+def field(keys: int) -> int:
+    """The prime of the least field in which so many keys are different elements."""
+    for prime in (P31, P61):
+        if keys <= prime:
+            return prime
+    raise ValueError(f"{keys} keys don't fit 61 bits: number the vertices with model.renumbered")
+
+
+def checked(v: Column, ids: int) -> Column:
+    """v where it is a number from 0 to ids - 1; an error otherwise, as keys would collide."""
+    return F.when((v >= 0) & (v < ids), v).otherwise(F.raise_error(F.concat(F.lit(f"a vertex id under {ids} is needed (see model.renumbered), not "), v.cast("string"))).cast("long"))
+
+
+def pair_key(v: Column, i: Column, ids: int, machines: int) -> Column:
+    """A different element of the field for each vertex under `ids` and machine."""
+    return checked(v, ids) * machines + i
+
+
+def times61(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Products modulo 2^61 - 1 of uint64 values under it, by halves of 31 bits."""
+    low, thirty, full = np.uint64(P31), np.uint64(30), np.uint64(P61)
+    a1, a0, b1, b0 = a >> np.uint64(31), a & low, b >> np.uint64(31), b & low
+    mid = a1 * b0 + a0 * b1
+    s = np.uint64(2) * a1 * b1 + (mid >> thirty) + ((mid & np.uint64((1 << 30) - 1)) << np.uint64(31)) + a0 * b0
+    s = (s & full) + (s >> np.uint64(61))
+    return np.where(s >= full, s - full, s)
+
+
+def kwise_values(x: np.ndarray, coeffs: list[int], prime: int) -> np.ndarray:
+    """The polynomial's values at whole numbers under the prime."""
+    x = x.astype(np.uint64)
+    h, p = np.full(x.shape, coeffs[0], np.uint64), np.uint64(prime)
+    for c in coeffs[1:]:
+        h = (times61(h, x) if prime == P61 else h * x % p) + np.uint64(c)
+        h = np.where(h >= p, h - p, h)
+    return h
+
+
+def skips(v: int, p: float, machines: int, seed: int, rep: int) -> np.ndarray:
+    """The machines of a vertex, each with probability p, from its own generator: about p machines draws."""
+    rng = np.random.default_rng([seed, rep, v & ((1 << 64) - 1)])
+    out, at = [], -1
+    while at < machines:
+        gaps = rng.geometric(p, max(16, int(1.2 * p * (machines - at)) + 8))
+        steps = at + np.cumsum(gaps)
+        out.append(steps)
+        at = int(steps[-1])
+    every = np.concatenate(out)
+    return every[every < machines]
+
+
 def coefficients(k: int, seed: int, rep: int = 0, prime: int = P31) -> list[int]:
     """k coefficients of a polynomial of degree k - 1, fresh for each repetition."""
     rng = random.Random(f"{seed}/{rep}")
@@ -40,11 +92,6 @@ def kwise_sql(x: str, coeffs: list[int], prime: int = P31) -> str:
     return h
 
 
-def mixed(*cols: Column, seed: int = 0) -> Column:
-    """Pseudo-random 31-bit value."""
-    return F.shiftrightunsigned(F.xxhash64(F.lit(seed), *cols), 33)
-
-
 def threshold(p: float, prime: int = P31) -> int:
     """Values below it are sampled."""
     return int(p * prime)
