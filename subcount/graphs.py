@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .model import canonical
+from .model import canonical, renumbered
+from .session import ship
 
 DAY = 86400
 
@@ -77,16 +80,28 @@ def trade(spark: SparkSession, d: str) -> DataFrame:
     return canonical(_edges(x, "c_nationkey", "s_nationkey"))
 
 
-def vecsim(spark: SparkSession, d: str, least: float = 0.3, block: int = 512) -> DataFrame:
-    """Cosine at least `least`. Every pair must be looked at; blocks of rows meet by an equality join."""
-    v = table(spark, d, "embeddings").select(F.col("vec_id").alias("x"), F.transform("embedding", lambda z: z.cast("double")).alias("v"))
-    norm = F.sqrt(F.aggregate("v", F.lit(0.0), lambda a, z: a + z * z))
-    v = v.withColumn("v", F.transform("v", lambda z: z / norm)).withColumn("b", F.floor(F.col("x") / block))
-    blocks = v.select(F.col("b").alias("c")).distinct().agg(F.sort_array(F.collect_set("c")).alias("cs"))
-    left = v.join(F.broadcast(blocks)).select("x", "v", F.explode(F.filter("cs", lambda c: c >= F.col("b"))).alias("b"))
-    right = v.select(F.col("x").alias("y"), F.col("v").alias("w"), "b")
-    dot = F.aggregate(F.zip_with("v", "w", lambda a, b: a * b), F.lit(0.0), lambda a, z: a + z)
-    return canonical(left.join(right, "b").where("x < y").where(dot >= least).select(F.col("x").alias("src"), F.col("y").alias("dst")))
+def vecsim(spark: SparkSession, d: str, least: float = 0.3, block: int = 4096) -> DataFrame:
+    """Cosine at least `least`. Rows are dealt to blocks by a hash, each pair of blocks is one group of bounded size
+    and one matrix product; only pairs that are near enough become rows."""
+    v = table(spark, d, "embeddings").select(F.col("vec_id").cast("long").alias("x"), F.transform("embedding", lambda z: z.cast("double")).alias("v")).where("x is not null and v is not null")
+    blocks = max(1, -(-v.count() // block))
+    own = F.pmod(F.xxhash64("x"), F.lit(blocks)).cast("int")
+    dealt = v.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    dealt = dealt.select(F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "x", "v")
+
+    def near(key: tuple, group: pa.Table) -> pa.Table:
+        i, j = (k.as_py() for k in key)
+        x, own = group["x"].to_numpy(), group["own"].to_numpy()
+        rows = np.array(group["v"].to_pylist(), np.float64)
+        rows /= np.maximum(np.sqrt((rows * rows).sum(1, keepdims=True)), 1e-300)
+        a, b = np.flatnonzero(own == i), np.flatnonzero(own == j)
+        p, q = np.nonzero(rows[a] @ rows[b].T >= least)
+        src, dst = x[a[p]], x[b[q]]
+        keep = src < dst if i == j else src != dst
+        return pa.table({"src": src[keep], "dst": dst[keep]})
+
+    ship(spark)
+    return canonical(dealt.groupBy("i", "j").applyInArrow(near, "src long, dst long"))
 
 
 def lexical_words(spark: SparkSession, d: str) -> DataFrame:
@@ -120,12 +135,19 @@ def document_lines(spark: SparkSession, d: str, name: str = "documents", key: st
     return t.where(F.length("line") >= 20).distinct()
 
 
-def sharedline(spark: SparkSession, d: str) -> DataFrame:
-    x = document_lines(spark, d)
-    some = x.groupBy("line").count().where("count between 2 and 50").select("line")
-    x = x.join(some, "line")
-    y = x.withColumnRenamed("x", "y")
-    return canonical(x.join(y, "line").where("x < y").select(F.col("x").alias("src"), F.col("y").alias("dst")))
+def sharedline(spark: SparkSession, d: str, reach: int = 8, run: int = 1 << 16) -> DataFrame:
+    """Two documents that hold the same line and are at most `reach` apart in the order of the ids of all documents
+    with it. Every line takes part, however frequent; edges are at most `reach` times the (document, line) pairs, and
+    a line's documents are connected. Positions are numbered in runs of ids, so no task sorts a frequent line."""
+    x = document_lines(spark, d).select("x", F.xxhash64("line").alias("k"), F.xxhash64("line", F.lit(1)).alias("l"))
+    x = x.withColumn("run", F.floor(F.col("x") / run))
+    line = ["k", "l"]
+    before = Window.partitionBy(*line).orderBy("run").rowsBetween(Window.unboundedPreceding, -1)
+    shift = x.groupBy(*line, "run").count().select(*line, "run", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("shift"))
+    within = F.row_number().over(Window.partitionBy(*line, "run").orderBy("x"))
+    at = x.withColumn("within", within).join(shift, [*line, "run"]).select("x", *line, (F.col("shift") + F.col("within")).alias("at"))
+    ahead = at.select(F.col("x").alias("src"), *line, F.explode(F.sequence(F.col("at") + 1, F.col("at") + reach)).alias("at"))
+    return canonical(ahead.join(at.withColumnRenamed("x", "dst"), [*line, "at"]).select("src", "dst"))
 
 
 def quality(spark: SparkSession, d: str) -> DataFrame:
@@ -157,3 +179,10 @@ def geo(spark: SparkSession, d: str) -> DataFrame:
 
 
 GRAPHS = {f.__name__: f for f in (tripartite, copurchase, lexical, sharedline, cosupply, copart30, corun, vecsim, trade, custpart, hyperlink, quality, benchhit, geo)}
+KEYED = ("lexical", "hyperlink")  # ids are hashes of text keys
+
+
+def numbered(spark: SparkSession, d: str, name: str) -> DataFrame:
+    """The graph with ids that hash functions can take: those of text keys are numbered anew."""
+    e = GRAPHS[name](spark, d)
+    return renumbered(e) if name in KEYED else e
