@@ -3,14 +3,13 @@
 from __future__ import annotations
 
 from functools import reduce
-from itertools import combinations
 from math import comb
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..model import arcs
+from ..model import arcs, renumbered
 from ..session import ship
 from ..storage import materialize
 from . import exact, peel
@@ -35,22 +34,60 @@ def count_ordered(edges: DataFrame, k: int) -> DataFrame:
     return enumerate_ordered(edges, k).agg(F.count("*").alias("cliques"))
 
 
-def count_lifted(edges: DataFrame, k: int, gamma: peel.Schedule | None = None) -> DataFrame:
-    """Lifts (k-2)-cliques to vertices next to the vertices that complete them, and counts triangles with
-    exactly one lifted vertex; each k-clique is seen once for each choice of its lifted part."""
+def lifted_graph(edges: DataFrame, cliques: DataFrame, n: int) -> tuple[DataFrame, DataFrame]:
+    """The edges of G and those from each clique, as a vertex, to the vertices next to all its members; and the
+    numbers of the cliques. edges: vertices 0 .. n - 1; cliques: members (sorted). A clique's number starts at n, so
+    members, not a hash, tell lifted vertices apart."""
+    both = arcs(edges)
+    known = _numbers(cliques, n)
+    size = known.select(F.size("members")).first()
+    grown = known.select("q", "members", F.col("members")[0].alias("src")).join(both, "src").select("q", "members", F.col("dst").alias("x"))
+    for i in range(1, size[0] if size else 1):
+        grown = grown.withColumn("src", F.col("members")[i]).join(both.withColumnRenamed("dst", "x"), ["src", "x"], "left_semi").drop("src")
+    lifted = grown.select(F.col("x").alias("src"), F.col("q").alias("dst"))
+    return materialize(edges.select("src", "dst").unionAll(lifted)), known
+
+
+def _numbers(cliques: DataFrame, n: int, parts: int = 64) -> DataFrame:
+    """q, members: distinct members numbered from n on, by hashed parts and the counts of the parts before."""
+    c = materialize(cliques.select("members").distinct().withColumn("part", F.pmod(F.xxhash64("members"), F.lit(parts))))
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    shift = c.groupBy("part").count().select("part", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("shift"))
+    within = F.row_number().over(Window.partitionBy("part").orderBy("members")) - 1
+    numbered = c.withColumn("within", within).join(F.broadcast(shift), "part")
+    return materialize(numbered.select((n + F.col("shift") + F.col("within")).alias("q"), "members"))
+
+
+def lifted_triangles(edges: DataFrame, cliques: DataFrame, n: int, gamma: peel.Schedule) -> DataFrame:
+    """members, x < y: triangles of the lifted graph with one lifted vertex, by the lister that peels it."""
+    graph, known = lifted_graph(edges, cliques, n)
+    t = exact.enumerate_triangles(graph, peel.levels(graph, gamma)).where((F.col("b") < n) & (F.col("c") >= n))
+    return t.join(known, F.col("c") == F.col("q")).select("members", F.col("a").alias("x"), F.col("b").alias("y"))
+
+
+def enumerate_lifted(edges: DataFrame, k: int, gamma: peel.Schedule, n: int) -> DataFrame:
+    """members of every k-clique of a graph on 0 .. n - 1: a clique of k - 2 lifted, and a triangle at it."""
+    if k == 1:
+        return arcs(edges).select(F.array("src").alias("members")).distinct()
+    if k == 2:
+        return edges.select(F.array("src", "dst").alias("members"))
     if k == 3:
-        return exact.count_by_rank(edges).select(F.col("triangles").alias("cliques"))
+        return exact.enumerate_triangles(edges, peel.levels(edges, gamma)).select(F.array("a", "b", "c").alias("members"))
+    t = lifted_triangles(edges, enumerate_lifted(edges, k - 2, gamma, n), n, gamma)
+    return t.select(F.array_sort(F.concat("members", F.array("x", "y"))).alias("members")).distinct()
+
+
+def count_lifted(edges: DataFrame, k: int, gamma: peel.Schedule | None = None) -> DataFrame:
+    """Lifts (k-2)-cliques, themselves found so, to vertices next to the vertices that complete them, and counts
+    by peeling the triangles with one lifted vertex; a k-clique is seen once for each choice of its lifted part."""
+    gamma = gamma or peel.schedule("from_bound", 5)
     if k < 3:
         return count_ordered(edges, k)
-    part = materialize(enumerate_ordered(edges, k - 2).withColumn("q", F.xxhash64("members")))
-    both = arcs(edges)
-    grown = part.select("q", "members", F.col("members")[0].alias("src")).join(both, "src").select("q", "members", F.col("dst").alias("x"))
-    for i in range(1, k - 2):
-        grown = grown.withColumn("src", F.col("members")[i]).join(both.withColumnRenamed("dst", "x"), ["src", "x"], "left_semi").drop("src")
-    # members, not only their hash, tell lifted vertices apart
-    lifted = materialize(grown.where(~F.array_contains("members", F.col("x"))).select("q", "members", "x"))
-    pair = lifted.join(lifted.withColumnRenamed("x", "y"), ["q", "members"]).where("x < y")
-    seen = pair.join(edges.select(F.col("src").alias("x"), F.col("dst").alias("y")), ["x", "y"], "left_semi").agg(F.count("*").alias("seen"))
+    e = materialize(renumbered(edges))
+    n = (e.agg(F.max("dst")).first()[0] or 0) + 1
+    if k == 3:
+        return exact.count_by_rank(e, peel.levels(e, gamma)).select(F.col("triangles").alias("cliques"))
+    seen = lifted_triangles(e, enumerate_lifted(e, k - 2, gamma, n), n, gamma).agg(F.count("*").alias("seen"))
     return seen.select(F.expr(f"seen div {comb(k, k - 2)}").alias("cliques"))
 
 
@@ -119,8 +156,3 @@ def _local_round(now: DataFrame, low: DataFrame, k: int) -> DataFrame:
 
     ship(now.sparkSession)
     return pair.groupBy("src").applyInArrow(local, "t int, found long").groupBy("t").agg(F.sum("found").alias("found"))
-
-
-def splits(k: int) -> int:
-    """Ways to see one k-clique in the lifted graph."""
-    return len(list(combinations(range(k), k - 2)))
