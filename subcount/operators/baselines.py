@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..model import arcs, degrees
+from ..storage import materialize
 from . import exact, hashing, orient, peel
 
 
@@ -71,11 +72,11 @@ def edge_intersection(edges: DataFrame) -> DataFrame:
 
 
 def colour_partition(edges: DataFrame, colours: int, seed: int = 1, reps: int = 1) -> DataFrame:
-    """rep, hits, estimate: keep edges of one colour, count triangles, times colours squared."""
+    """rep, hits, estimate: keep edges of one colour, count triangles, times colours squared. Ids have 31 bits."""
     out = None
     for rep in range(reps):
         c = hashing.coefficients(4, seed, rep)
-        colour = lambda v: hashing.kwise(F.pmod(F.col(v), F.lit(hashing.P31)), c) % colours  # noqa: E731, B023
+        colour = lambda v: hashing.kwise(hashing.checked(F.col(v), hashing.P31), c) % colours  # noqa: E731, B023
         e = edges.withColumn("i", colour("src")).where(F.col("i") == colour("dst")).select("i", "src", "dst")
         t = exact.close_wedges(e.select("i", F.col("src").alias("u"), F.col("dst").alias("v")), e, ("i",))
         here = t.agg(F.count("*").alias("hits")).select(F.lit(rep).alias("rep"), "hits")
@@ -88,28 +89,39 @@ def colours_for(n: int, m: int, space: int, how: str = "machines") -> int:
     return max(1, -(-total // space)) if how == "machines" else max(1, math.ceil(math.sqrt(m / space)))
 
 
-def wedge_sampling(edges: DataFrame, samples: int = 1000, seed: int = 1) -> DataFrame:
-    """hits, samples, estimate: wedges drawn evenly (by a hash, so retries draw the same), share closed."""
+def wedge_sampling(edges: DataFrame, samples: int = 1000, seed: int = 1, lots: int = 256) -> DataFrame:
+    """hits, samples, estimate: wedges drawn evenly (by a hash, so retries draw the same), share closed.
+
+    Vertices are dealt to lots; a draw is a number under the sum of all wedges, which names a lot, then a bucket
+    of the lot's cumulative weights, so draws meet vertices by equality. A lot has as many buckets as vertices, so a
+    bucket holds few, and a vertex lies in as many more buckets as its weight fills.
+    """
     spark = edges.sparkSession
     deg = degrees(edges).withColumn("w", F.expr("deg * (deg - 1) div 2")).where("w > 0")
-    # cumulative weights in two steps, so no single task sorts all vertices
-    lot = deg.withColumn("lot", F.pmod(F.xxhash64("v"), F.lit(256)))
+    lot = deg.withColumn("lot", F.pmod(F.xxhash64("v"), F.lit(lots)))
     before = Window.orderBy("lot").rowsBetween(Window.unboundedPreceding, -1)
-    lots = lot.groupBy("lot").agg(F.sum("w").alias("s")).withColumn("base", F.coalesce(F.sum("s").over(before), F.lit(0)))
+    base = lot.groupBy("lot").agg(F.sum("w").alias("s"), F.count("*").alias("c")).withColumn("base", F.coalesce(F.sum("s").over(before), F.lit(0)))
+    base = base.withColumn("width", F.greatest(F.lit(1), F.ceil(F.col("s") / F.col("c"))).cast("long"))
+    base = materialize(base)  # at most `lots` rows
+    total = base.agg(F.sum("s")).first()[0] or 0
+    rows = [F.struct(*[F.lit(x).cast("long").alias(n) for n, x in zip(("lot", "base", "width"), r)]) for r in base.select("lot", "base", "width").orderBy("base").collect()]
+    none = F.array().cast("array<struct<lot:long,base:long,width:long>>")
+    x = F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(max(1, total)))
+    draws = spark.range(samples if total else 0).select("id", x.alias("x"))
+    draws = draws.withColumn("l", F.element_at(F.filter(F.array(*rows) if rows else none, lambda r: r["base"] <= F.col("x")), -1))
+    draws = draws.select("id", "l.lot", (F.col("x") - F.col("l.base")).alias("r")).join(F.broadcast(base.select("lot", "width")), "lot")
+    draws = draws.select("id", "lot", "r", F.expr("r div width").alias("bucket"))
     within = Window.partitionBy("lot").orderBy("v").rowsBetween(Window.unboundedPreceding, -1)
-    cum = lot.withColumn("inner", F.coalesce(F.sum("w").over(within), F.lit(0))).join(F.broadcast(lots.select("lot", "base")), "lot")
-    cum = cum.select("v", "deg", "w", (F.col("base") + F.col("inner")).alias("lo"))
-    total = lots.agg(F.coalesce(F.sum("s"), F.lit(0)).alias("total"))
-    draws = spark.range(samples).join(F.broadcast(total)).where("total > 0").select("id", "total", F.pmod(F.xxhash64("id", F.lit(seed)), F.col("total")).alias("x"))
-    hit = cum.join(F.broadcast(draws), (F.col("x") >= F.col("lo")) & (F.col("x") < F.col("lo") + F.col("w")))
-    r = (F.col("x") - F.col("lo")).cast("double")
-    j = F.floor((1 + F.sqrt(1 + 8 * r)) / 2)
-    hit = hit.withColumn("j", j).withColumn("i", F.col("x") - F.col("lo") - F.expr("j * (j - 1) div 2"))
+    lo = lot.withColumn("lo", F.coalesce(F.sum("w").over(within), F.lit(0))).join(F.broadcast(base.select("lot", "width")), "lot")
+    spread = lo.select("lot", "v", "w", "lo", F.explode(F.expr("sequence(lo div width, (lo + w - 1) div width)")).alias("bucket"))
+    hit = draws.join(spread, ["lot", "bucket"]).where("r >= lo and r < lo + w")
+    r = (F.col("r") - F.col("lo")).cast("double")
+    hit = hit.withColumn("j", F.floor((1 + F.sqrt(1 + 8 * r)) / 2)).withColumn("i", F.col("r") - F.col("lo") - F.expr("j * (j - 1) div 2"))
     order = F.row_number().over(Window.partitionBy("src").orderBy("dst")) - 1
-    wanted = arcs(edges).join(F.broadcast(hit.select(F.col("v").alias("src")).distinct()), "src", "left_semi").withColumn("k", order)
+    wanted = arcs(edges).join(hit.select(F.col("v").alias("src")).distinct(), "src", "left_semi").withColumn("k", order)
     a = wanted.select(F.col("src").alias("v"), F.col("k").alias("i"), F.col("dst").alias("a"))
     b = wanted.select(F.col("src").alias("v"), F.col("k").alias("j"), F.col("dst").alias("b"))
-    pair = hit.join(a, ["v", "i"]).join(b, ["v", "j"]).select("id", "total", F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst"))
+    pair = hit.join(a, ["v", "i"]).join(b, ["v", "j"]).select("id", F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst"))
     closed = pair.join(edges.withColumn("c", F.lit(1)), ["src", "dst"], "left")
-    out = closed.agg(F.count("c").alias("hits"), F.count("*").alias("samples"), F.max("total").alias("wedges"))
-    return out.withColumn("estimate", F.col("hits") / F.col("samples") * F.col("wedges") / 3)
+    out = closed.agg(F.count("c").alias("hits"), F.count("*").alias("samples")).withColumn("wedges", F.lit(total).cast("long"))
+    return out.withColumn("estimate", F.try_divide(F.col("hits"), F.col("samples")) * F.col("wedges") / 3)

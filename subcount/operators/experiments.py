@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from .. import graphs
 from ..model import degrees, size
 from ..storage import materialize
-from . import approx, baselines, exact, hashing, measures, orient, patterns, peel
+from . import approx, baselines, exact, measures, orient, patterns, peel
 
 ROUND_GRAPHS = {"lexical": (5, 10), "tripartite": (5, 10), "copart30": (5, 10), "sharedline": (10, 20), "copurchase": (2, 10)}
 FACTOR_GRAPHS = ("tripartite", "copurchase", "cosupply", "sharedline")
@@ -24,6 +24,29 @@ def graph_stats(spark: SparkSession, d: str, name: str) -> DataFrame:
     return exact.count_by_rank(e).join(F.broadcast(deg)).join(F.broadcast(m)).select(F.lit(name).alias("graph"), "n", "m", "triangles", "max_degree")
 
 
+def graph_table(spark: SparkSession, d: str) -> DataFrame:
+    """graph, n, m, triangles, max_degree, degeneracy of all graphs."""
+    rows = []
+    for name in graphs.GRAPHS:
+        core = orient.degeneracy(materialize(graphs.GRAPHS[name](spark, d))).first()[0]
+        rows.append(graph_stats(spark, d, name).withColumn("degeneracy", F.lit(int(core)).cast("long")))
+    return reduce(DataFrame.unionAll, rows)
+
+
+def scaling(spark: SparkSession, d: str, name: str = "tripartite", parts: int = 4) -> DataFrame:
+    """part, edges, triangles, exchanges: the count on growing shares of the graph, those of the first k of `parts`
+    classes of vertices by id; its plan has the same exchanges at each size."""
+    e = materialize(graphs.numbered(spark, d, name))
+    out = []
+    for k in range(1, parts + 1):
+        share = e.where(f"src % {parts} < {k} and dst % {parts} < {k}")
+        t = exact.count_by_rank(share)
+        shape = measures.plan_stats(t)
+        m = share.agg(F.count("*").alias("edges"))
+        out.append(t.join(F.broadcast(m)).select(F.lit(k).alias("part"), "edges", "triangles", F.lit(shape["exchanges"]).alias("exchanges")))
+    return reduce(DataFrame.unionAll, out)
+
+
 def rounds(spark: SparkSession, d: str, name: str) -> DataFrame:
     """graph, bound, space, method, iterations, model_rounds, messages: by start bound and space per machine,
     doubly exponential thresholds against the constant one, which exists at the degeneracy only."""
@@ -58,7 +81,7 @@ def factors(spark: SparkSession, d: str, names: tuple[str, ...], delta: float, g
     """graph, delta, method, machines, estimate, factor: median of means of both estimators."""
     out = []
     for name in names:
-        e = materialize(graphs.GRAPHS[name](spark, d))
+        e = materialize(graphs.numbered(spark, d, name))
         p = approx.for_graph(e, delta=delta, seed=seed)
         truth = exact.count_by_rank(e)
         ours = approx.estimate_mom(e, p, groups, per_group)
@@ -71,7 +94,7 @@ def factors(spark: SparkSession, d: str, names: tuple[str, ...], delta: float, g
 
 
 def hash_ablation(spark: SparkSession, d: str, name: str = "tripartite", delta: float = 0.75, reps: int = 3) -> DataFrame:
-    e = materialize(graphs.GRAPHS[name](spark, d))
+    e = materialize(graphs.numbered(spark, d, name))
     p = approx.for_graph(e, delta=delta)
     truth = exact.count_by_rank(e)
     parts = [measures.factor(approx.estimate_median(e, p, reps, hash_=h), truth).select(F.lit(h).alias("hash"), "factor") for h in ("kwise", "mixed")]
@@ -91,9 +114,8 @@ def correction(spark: SparkSession, d: str, names: tuple[str, ...]) -> DataFrame
 def below_bound(spark: SparkSession, d: str, reps: int = 20, p: float = 0.05, machines: int = 20) -> DataFrame:
     """Few triangles: coverage is low, and the plan says so."""
     e = materialize(graphs.vecsim(spark, d))
-    n, m = size(e).first()
     truth = exact.count_by_rank(e).first()[0]
-    plan = approx.plan(n, m, mode="explicit", p=p, machines=machines, k=6)
+    plan = approx.for_graph(e, mode="explicit", p=p, machines=machines, k=6, space=e.count())
     c = measures.coverage(approx.estimates(e, plan, reps), truth, 0.5)
     return c.withColumn("expected_hits", F.lit(round(measures.theory(plan, truth)["expected_hits"], 6)))
 
@@ -102,7 +124,3 @@ def pattern_suite(spark: SparkSession, d: str, name: str, which: tuple[str, ...]
     e = materialize(graphs.GRAPHS[name](spark, d))
     g = materialize(orient.low_outdegree(e))
     return reduce(DataFrame.unionAll, [patterns.count(e, w, g).select(F.lit(w).alias("pattern"), "copies") for w in which])
-
-
-def coefficients_table(spark: SparkSession, k: int, seed: int) -> DataFrame:
-    return spark.createDataFrame(list(enumerate(hashing.coefficients(k, seed))), "j int, coefficient long")

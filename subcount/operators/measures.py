@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import math
 import re
+import time
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -132,5 +133,45 @@ def plan_stats(df: DataFrame) -> dict[str, int]:
     }
 
 
+def run_cost(df: DataFrame) -> dict[str, float]:
+    """Run df into nothing: seconds, tasks, bytes shuffled and spilled of its stages, beside plan_stats()."""
+    sc = df.sparkSession.sparkContext
+    store, none = sc._jsc.sc().statusStore(), sc._jvm.java.util.ArrayList()
+    quantiles = sc._gateway.new_array(sc._jvm.double, 0)
+
+    def stages():
+        found = store.stageList(None, False, False, quantiles, none)
+        return [found.apply(i) for i in range(found.size())]
+
+    before = max((s.stageId() for s in stages()), default=-1)
+    t = time.time()
+    df.write.mode("overwrite").format("noop").save()
+    took = time.time() - t
+    sc._jsc.sc().listenerBus().waitUntilEmpty()
+    own = [s for s in stages() if s.stageId() > before]
+    total = lambda f: sum(getattr(s, f)() for s in own)
+    return {
+        "seconds": round(took, 3),
+        "tasks": total("numCompleteTasks"),
+        "shuffle_written": total("shuffleWriteBytes"),
+        "shuffle_read": total("shuffleReadBytes"),
+        "spilled": total("memoryBytesSpilled") + total("diskBytesSpilled"),
+        **plan_stats(df),
+    }
+
+
+def cost_table(spark, runs: dict[str, DataFrame]) -> DataFrame:
+    """method, seconds, tasks, bytes shuffled and spilled, exchanges and joins of each."""
+    rows = [(name, *run_cost(df).values()) for name, df in runs.items()]
+    kinds = "seconds double, tasks long, shuffle_written long, shuffle_read long, spilled long, exchanges int, broadcasts int, merge_joins int, nested_loops int, python int"
+    return spark.createDataFrame(rows, f"method string, {kinds}")
+
+
+def spaces(spark, n: int, m: int) -> DataFrame:
+    """mode, delta, space: machine spaces in vertices (n^delta) and in edges (2 m^delta ln n)."""
+    rows = [(mode, x, space(n, m, x, mode)) for mode, ds in (("nodes", (0.3, 0.5, 0.9)), ("edges", (0.5, 0.75))) for x in ds]
+    return spark.createDataFrame(rows, "mode string, delta double, space long")
+
+
 def trace_of(edges: DataFrame, gamma: peel.Schedule) -> DataFrame:
     return peel.trace_table(edges.sparkSession, peel.rounds(edges, gamma))

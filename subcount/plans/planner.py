@@ -81,7 +81,8 @@ def cliques4(edges: DataFrame, rules: Rules = Rules()) -> DataFrame:
 
 
 def levels(edges: DataFrame, gamma: peel.Schedule, rules: Rules = Rules(), small: int = 100_000) -> DataFrame:
-    """Peeling that ends when the survivors are few: they get one last level, told apart by degree."""
+    """Peeling that ends when the survivors are few, or a constant threshold stalls: they get one last level, told
+    apart by degree."""
     if not rules.finish_by_broadcast:
         return peel.levels(edges, gamma)
     from ..model import arcs
@@ -94,6 +95,8 @@ def levels(edges: DataFrame, gamma: peel.Schedule, rules: Rules = Rules(), small
         if left <= 2 * small:
             return out.unionAll(deg.select("v", F.lit(i).alias("level")))
         low = F.col("deg") <= gamma(i)
+        if gamma(i + 1) <= gamma(i) and deg.where(low).isEmpty():  # the threshold neither peels nor grows
+            return out.unionAll(deg.select("v", F.lit(i).alias("level")))
         out = out.unionAll(deg.where(low).select("v", F.lit(i).alias("level")))
         stay = deg.where(~low).select("v")
         now = materialize(now.join(stay.withColumnRenamed("v", "src"), "src", "left_semi").join(stay.withColumnRenamed("v", "dst"), "dst", "left_semi").select("src", "dst"))

@@ -9,9 +9,11 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
-    """The shared folder the cluster names; a temporary one only where none is set (tests)."""
+    """The shared folder the cluster names; a temporary one only where all executors are this machine (tests)."""
     named = spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if named is None:
+        if not spark.sparkContext.master.split("[")[0] == "local":
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         named = getattr(checkpoint_dir, "own", None)
         if named is None:
             named = checkpoint_dir.own = tempfile.mkdtemp(prefix="subcount-")
