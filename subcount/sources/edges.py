@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 from ..model import canonical
+from ..operators import hashing
 from ..session import ship
 
 
@@ -60,47 +61,72 @@ def generate(spark: SparkSession, kind: str, n: int, m: int = 0, seed: int = 1)
         at = spark.range(n * n)
         right = at.where((i % n) < n - 1).select(i.alias("src"), (i + 1).alias("dst"))
         return canonical(right.unionAll(at.where(i < n * (n - 1)).select(i.alias("src"), (i + n).alias("dst"))))
+    c = hashing.coefficients(4, seed)
     if kind == "uniform":
-        e = spark.range(m)
-        return canonical(e.select(F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(n)).alias("src"), F.pmod(F.xxhash64("id", F.lit(seed + 1)), F.lit(n)).alias("dst")))
+        end = lambda k: hashing.kwise(hashing.checked(2 * i + k, hashing.P31), c) % n
+        return canonical(spark.range(m).select(end(0).alias("src"), end(1).alias("dst")))
     if kind == "preferential":
-        e = v.where(i > 0).select(i.alias("src"), F.explode(F.sequence(F.lit(1), F.lit(m))).alias("k"))
-        u = F.pmod(F.xxhash64("src", "k", F.lit(seed)), F.lit(1 << 20)) / (1 << 20)
+        e = v.where(i > 0).select(i.alias("src"), F.explode(F.sequence(F.lit(0), F.lit(m - 1))).alias("k"))
+        u = hashing.kwise(hashing.checked(F.col("src") * m + F.col("k"), hashing.P31), c) / F.lit(float(hashing.P31))
         return canonical(e.select("src", F.floor(F.col("src") * u * u).alias("dst")))
     raise ValueError(f"no graph {kind}")
 
 
 class _Lines(InputPartition):
-    def __init__(self, start: int, end: int):
-        self.start, self.end = start, end
+    def __init__(self, path: str, start: int, end: int):
+        self.path, self.start, self.end = path, start, end
+
+
+def _opened(path: str):
+    """A file system and a path of it: of a URI, or this machine's."""
+    from pyarrow import fs
+
+    return fs.FileSystem.from_uri(path) if "://" in path or path.startswith("file:") else (fs.LocalFileSystem(), path)
 
 
 class _Reader(DataSourceReader):
-    """Byte ranges of a text edge list; a range reads the lines that begin in it."""
+    """Byte ranges of text edge lists; a range reads the lines that begin in it. Lines that are no two whole numbers
+    are skipped."""
 
     def __init__(self, options):
         self.path, self.parts = options["path"], int(options.get("parts", 4))
 
     def partitions(self):
-        import os
+        from pyarrow import fs
 
-        size = os.path.getsize(self.path)
-        step = max(1, -(-size // self.parts))
-        return [_Lines(s, min(size, s + step)) for s in range(0, size, step)]
+        store, at = _opened(self.path)
+        info = store.get_file_info(at)
+        files = store.get_file_info(fs.FileSelector(at, recursive=True)) if info.type == fs.FileType.Directory else [info]
+        files = [f for f in files if f.type == fs.FileType.File and f.size and not f.base_name.startswith(("_", "."))]
+        step = max(1, -(-sum(f.size for f in files) // self.parts))
+        return [_Lines(f.path, s, min(f.size, s + step)) for f in files for s in range(0, f.size, step)] or [_Lines("", 0, 0)]
 
     def read(self, partition):
-        with open(self.path, "rb") as f:
-            if partition.start:
-                f.seek(partition.start - 1)
-                f.readline()
-            while f.tell() < partition.end and (line := f.readline()):
-                part = line.split()
-                if len(part) >= 2 and not line.startswith(b"#"):
-                    yield int(part[0]), int(part[1])
+        if not partition.path:
+            return
+        with _opened(self.path)[0].open_input_file(partition.path) as f:
+            at = max(0, partition.start - 1)
+            f.seek(at)
+            rest, begun = b"", not partition.start  # begun: the next line begins in the range
+            while True:
+                data = f.read(1 << 20)
+                lines = (rest + data).split(b"\n")
+                rest = lines.pop() if data else b""
+                for line in lines:
+                    start, at = at, at + len(line) + 1
+                    if begun and start >= partition.end:
+                        return
+                    part = line.split() if begun else ()
+                    begun = True
+                    if len(part) >= 2 and part[0].lstrip(b"-").isdigit() and part[1].lstrip(b"-").isdigit():
+                        yield int(part[0]), int(part[1])
+                if not data:
+                    return
 
 
 class EdgeListSource(DataSource):
-    """format("edgelist"): path on a folder all executors mount, parts."""
+    """format("edgelist"): path of a text file or folder (a URI of a store that pyarrow opens, or a folder all executors
+    mount), parts."""
 
     @classmethod
     def name(cls):
