@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
+import uuid
 
 from pyspark.sql import functions as F
 
 from .. import graphs, model
-from ..operators import exact
+from ..operators import exact, hashing
+from ..operators.primitives import sort_all
 from ..sources import edges as sources
 from ..storage import checkpoint_dir
 from ..streaming import edges as streams
@@ -105,7 +106,7 @@ ORACLES["op_join_interval"] = _sql.on("corun", select="SELECT src, dst FROM e")
 
 def _round_trip(kind):
     def query(spark, d):
-        at = f"{checkpoint_dir(spark)}/edges-{kind}-{tempfile.mktemp(dir='').strip('/')}"
+        at = f"{checkpoint_dir(spark)}/edges-{kind}-{uuid.uuid4().hex}"
         e = graphs.trade(spark, d)
         if kind == "text":
             e.select(F.concat_ws(" ", "src", "dst").alias("value")).write.mode("overwrite").text(at)
@@ -131,16 +132,73 @@ _DAY = "CAST(floor(epoch(ts) / 86400) * 86400 AS BIGINT)"
 add("st_tumbling", lambda spark, d: streams.collect_now(streams.tumbling(_stream(spark, d)), "complete"), f"SELECT {_DAY} AS start_s, event_type, count(*) AS events FROM events GROUP BY ALL")
 add("st_sliding", lambda spark, d: streams.collect_now(streams.sliding(_stream(spark, d)), "complete"), f"SELECT s AS start_s, count(*) AS events FROM (SELECT unnest([{_DAY}, {_DAY} - 86400]) AS s FROM events) GROUP BY s")
 add("st_dedupe", lambda spark, d: streams.collect_now(streams.without_repeats(_stream(spark, d), ["user_id", "event_type"])).select("user_id", "event_type"), "SELECT DISTINCT user_id, event_type FROM events")
-add("st_session", lambda spark, d: streams.collect_now(streams.sessions(_stream(spark, d)), "append").select("user_id", "events"))
-add("st_late", lambda spark, d: streams.collect_now(streams.in_time(_stream(spark, d))))
+# rows that a watermark of an hour behind the last event has closed
+_SESSION = """x AS (SELECT user_id, ts, CASE WHEN ts <= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 1 HOUR THEN 0 ELSE 1 END AS fresh FROM events),
+y AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM x)"""
+add("st_session", lambda spark, d: streams.collect_now(streams.sessions(_stream(spark, d)), "append"), f"WITH {_SESSION} SELECT user_id, epoch_us(min(ts)) AS start_us, count(*) AS events FROM y GROUP BY user_id, s HAVING max(ts) + INTERVAL 1 HOUR <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR")
+_HOUR = "CAST(floor(epoch(ts) / 3600) * 3600 AS BIGINT)"
+add("st_late", lambda spark, d: streams.collect_now(streams.in_time(_stream(spark, d))), f"SELECT {_HOUR} AS start_s, count(*) AS events FROM events GROUP BY 1 HAVING {_HOUR} + 3600 <= (SELECT epoch(max(ts)) FROM events) - 3600")
+add("st_update", lambda spark, d: streams.collect_now(_stream(spark, d).groupBy("event_type").agg(F.count("*").alias("events")), "update", ["event_type"]), "SELECT event_type, count(*) AS events FROM events GROUP BY 1")
 add("st_interval_edges", lambda spark, d: model.canonical(streams.collect_now(streams.interval_edges(_stream(spark, d)))), _sql.on("corun", select="SELECT src, dst FROM e"))
 
 
-def _incremental(spark, d):
-    at = f"{checkpoint_dir(spark)}/arrivals-{tempfile.mktemp(dir='').strip('/')}"
-    graphs.corun(spark, d).repartition(3, "src").write.mode("overwrite").parquet(at)
-    s = spark.readStream.schema("src long, dst long").option("maxFilesPerTrigger", 1).parquet(at)
-    return streams.incremental_triangles(s)
+def _arrivals(spark, d, files=3):
+    at = f"{checkpoint_dir(spark)}/arrivals-{uuid.uuid4().hex}"
+    graphs.corun(spark, d).repartition(files, "src").write.mode("overwrite").parquet(at)
+    return spark.readStream.schema("src long, dst long").option("maxFilesPerTrigger", 1).parquet(at)
 
 
-add("st_incremental_tri", _incremental, _sql.triangles("corun"))
+add("st_incremental_tri", lambda spark, d: streams.incremental_triangles(_arrivals(spark, d)), _sql.triangles("corun"))
+add("st_stateful_degrees", lambda spark, d: streams.collect_now(streams.degrees_so_far(_arrivals(spark, d)), "update", ["v"]), _sql.on("corun", _sql.ARCS, select="SELECT src AS v, count(*) AS degree FROM a GROUP BY src"))
+
+
+def _rate(spark, d):
+    s = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", 100).option("numPartitions", 2).load()
+    return streams.collect_now(s.select((F.col("value") % 10).alias("src"), (F.col("value") % 7).alias("dst"))).agg(F.count_if(F.expr("src >= 0 and dst < 7")).alias("good"), F.count("*").alias("n")).select((F.col("good") == F.col("n")).alias("sound"), (F.col("n") % 100 == 0).alias("whole_batches"))
+
+
+add("st_rate_source", _rate, "SELECT true AS sound, true AS whole_batches")
+
+
+def _edgelist(spark, d):
+    at = f"{checkpoint_dir(spark)}/list-{uuid.uuid4().hex}"
+    rows = graphs.trade(spark, d).select(F.concat_ws("\t", "src", "dst").alias("value"))
+    rows.unionByName(spark.createDataFrame([("# a comment",), ("no numbers",), ("",)], "value string")).write.text(at)
+    sources.register(spark)
+    return model.canonical(spark.read.format("edgelist").option("path", at).option("parts", 5).load())
+
+
+add("src_edgelist_edges", _edgelist, _sql.on("trade", select="SELECT src, dst FROM e"))
+
+
+def _bucketed(spark, d):
+    name = f"subcount_edges_{uuid.uuid4().hex}"
+    sources.write_bucketed(graphs.trade(spark, d), name, 4)
+    return spark.table(name)
+
+
+add("sink_bucketed", _bucketed, _sql.on("trade", select="SELECT src, dst FROM e"))
+
+
+def _nothing(spark, d):
+    sources.run_only(graphs.trade(spark, d))
+    return model.size(graphs.trade(spark, d))
+
+
+add("sink_noop", _nothing, _sql.on("trade", _sql.ARCS, _sql.DEGREES, select="SELECT count(*) AS n, CAST(sum(deg) // 2 AS BIGINT) AS m FROM g"))
+_h = lambda x: hashing.kwise_sql(f"CAST({x} AS BIGINT)", hashing.coefficients(4, 1))
+_MADE = {
+    "uniform": f"SELECT {_h('2 * i')} % 50 AS x, {_h('2 * i + 1')} % 50 AS y FROM (SELECT unnest(range(300)) AS i)",
+    "preferential": f"SELECT i AS x, CAST(floor(i * u * u) AS BIGINT) AS y FROM (SELECT i, {_h('(i * 3 + k)')} / {float(hashing.P31)!r} AS u FROM (SELECT unnest(range(1, 200)) AS i), (SELECT unnest(range(3)) AS k))",
+}
+for _kind, _n, _m in (("uniform", 50, 300), ("preferential", 200, 3)):
+    add(f"src_generated_{_kind}", (lambda k, n, m: lambda spark, d: sources.generate(spark, k, n, m))(_kind, _n, _m), f"SELECT DISTINCT CAST(least(x, y) AS BIGINT) AS src, CAST(greatest(x, y) AS BIGINT) AS dst FROM ({_MADE[_kind]}) WHERE x <> y")
+
+
+def _share(drawn, all_, low, high):
+    return drawn.agg(F.count("*").alias("k")).join(F.broadcast(all_.agg(F.count("*").alias("n")))).select((F.col("k") / F.col("n")).between(low, high).alias("within"))
+
+
+add("op_sample_bernoulli", lambda spark, d: (lambda o: _share(o.sample(0.2, seed=7), o, 0.15, 0.25))(graphs.table(spark, d, "orders")), "SELECT true AS within")
+add("op_sample_stratified", lambda spark, d: (lambda o: _share(o.sampleBy("o_orderstatus", {"O": 0.5, "F": 0.0, "P": 0.0}, seed=7), o.where("o_orderstatus = 'O'"), 0.4, 0.6))(graphs.table(spark, d, "orders")), "SELECT true AS within")
+add("op_sort_all", lambda spark, d: sort_all(graphs.table(spark, d, "orders").select("o_custkey", "o_orderkey"), ["o_custkey", "o_orderkey"]).withColumn("id", F.monotonically_increasing_id()).groupBy("o_custkey").agg(F.min_by("o_orderkey", "id").alias("first"), F.max_by("o_orderkey", "id").alias("last")), "SELECT o_custkey, min(o_orderkey) AS first, max(o_orderkey) AS last FROM orders GROUP BY 1")
