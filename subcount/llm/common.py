@@ -5,8 +5,9 @@ from __future__ import annotations
 import zlib
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
@@ -72,6 +73,36 @@ def join_heavy(rows: DataFrame, groups: DataFrame, keys: list[str], weight: str,
     return marked.where("heavy_").select(*rows.columns, *more).unionByName(light.select(*rows.columns, *more))
 
 
+def maybe_among(ids: DataFrame, most_bits: int = 1 << 27) -> Callable[[Column], Column]:
+    """A test that holds for each of the ids (one long column) and for few others: a Bloom filter of 16 bits an id, at
+    most `most_bits` (16 MB), above which more others pass. What passes is to be looked up; what doesn't needs no
+    shuffle. Bits are set where the ids are and come to the driver as words, bounded by the size of the filter."""
+    id_ = ids.columns[0]
+    size = 1 << 16
+    while size < most_bits and size < 16 * ids.count():
+        size *= 2
+    h = F.xxhash64(id_)
+    low, high = h.bitwiseAND(F.lit(0xFFFFFFFF)), F.shiftrightunsigned(h, 32).bitwiseOR(F.lit(1))
+    places = F.explode(F.array(*[(low + k * high).bitwiseAND(F.lit(size - 1)) for k in range(6)]))
+    bit = F.expr("shiftleft(1L, cast(place & 63 as int))")
+    words = ids.select(places.alias("place")).groupBy(F.shiftright("place", 6).alias("word")).agg(F.bit_or(bit).alias("bits")).toArrow()
+    table = np.zeros(size >> 6, np.int64)
+    table[words["word"].to_numpy()] = words["bits"].to_numpy()
+    shared = ids.sparkSession.sparkContext.broadcast(table)
+
+    @F.arrow_udf("boolean")
+    def passes(hashes: pa.Array) -> pa.Array:
+        h, bits = hashes.to_numpy(zero_copy_only=False).view(np.uint64), shared.value.view(np.uint64)
+        low, high = h & np.uint64(0xFFFFFFFF), (h >> np.uint64(32)) | np.uint64(1)
+        ok = np.ones(len(h), bool)
+        for k in range(6):
+            place = (low + np.uint64(k) * high) & np.uint64(size - 1)
+            ok &= (bits[place >> np.uint64(6)] >> (place & np.uint64(63)) & np.uint64(1)) > 0
+        return pa.array(ok)
+
+    return lambda col: col.isNotNull() & passes(F.xxhash64(col))
+
+
 def remainder(doc_id, n: int) -> int:
     """crc32 of the id as text, modulo n: the split rule of the learned operators."""
     return zlib.crc32(str(doc_id).encode()) % n

@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..session import ship
-from .common import join_heavy, map_columns, materialize
+from .common import join_heavy, map_columns, materialize, maybe_among
 
 SHINGLE, BANDS, ROWS, SEED = 5, 50, 5, 20240607
 BLOCK, BLOCK_BYTES = 1024, 1 << 24  # members and bytes of shingles of a block
@@ -325,7 +325,8 @@ def link(docs: DataFrame, width: int = SHINGLE, bands: int = BANDS, rows: int =
     ids = materialize(found.select("id").distinct())
     labels = ids.select("id", F.col("id").alias("label"))
     marks = materialize(heads.join(ids, "id", "left_semi").select("id", "n", "sketch"))
-    texts = materialize(docs.join(ids.select(F.col("id").alias("doc_id")), "doc_id", "left_semi").select(F.col("doc_id").alias("id"), "text"))
+    wanted = docs.where(maybe_among(ids)(F.col("doc_id"))).join(ids.select(F.col("id").alias("doc_id")), "doc_id", "left_semi")
+    texts = materialize(wanted.select(F.col("doc_id").alias("id"), "text"))
     # rows of one id are one document: their classes are linked
     twice = some.groupBy("doc_id").agg(F.count("*").alias("times")).where("times > 1")
     if not twice.isEmpty():
@@ -369,11 +370,15 @@ def near_duplicates(docs: DataFrame, **options) -> DataFrame:
 def keep_one(docs: DataFrame, **options) -> DataFrame:
     """One document of each component, with all its columns; the rest goes.
 
-    The ids that go are looked up, so a document that is linked with nothing never depends on a join key.
+    The ids that go are looked up, so a document that is linked with nothing never depends on a join key; a document
+    that a Bloom filter of those ids doesn't hold is kept where it is, and only the rest is shuffled.
     A repeated id keeps one row, that with the least text (null first) and then the least other columns.
     """
     found = materialize(near_duplicates(docs, **options))
-    out = docs.join(found.where("not kept").select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
+    gone = materialize(found.where("not kept").select("doc_id").distinct())
+    maybe = maybe_among(gone)(F.col("doc_id").cast("long"))
+    rest = docs.where(maybe).join(gone, "doc_id", "left_anti").select(*docs.columns)
+    out = docs.where(~maybe).unionByName(rest)
     repeated = found.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").select("doc_id")
     if repeated.isEmpty():
         return out

@@ -15,11 +15,12 @@ repeated rows and repeated or null ids are packed as they come; further columns
 from __future__ import annotations
 
 import base64
+import json
 import re
 import zlib
 from array import array
 from collections import deque
-from functools import lru_cache
+from functools import cached_property, lru_cache
 
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
@@ -81,11 +82,9 @@ class Tokens:
     """
 
     def __init__(self, json_path: str, ranks_path: str | None, pattern: str | None):
-        from tokenizers import Tokenizer
-
-        self.slow = Tokenizer.from_file(json_path)
-        self.fast = None
-        special = [t.content for t in self.slow.get_added_tokens_decoder().values()]
+        with open(json_path, encoding="utf-8") as described:
+            special = [t["content"] for t in json.load(described)["added_tokens"]]
+        self.json_path, self.fast = json_path, None
         if ranks_path:
             import tiktoken
 
@@ -94,6 +93,13 @@ class Tokens:
             self.fast = tiktoken.Encoding("given", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
         self.odd = re.compile("|".join(map(re.escape, special)) or "(?!)").search
 
+    @cached_property
+    def slow(self):
+        """`tokenizers` itself, loaded when a text needs it."""
+        from tokenizers import Tokenizer
+
+        return Tokenizer.from_file(self.json_path)
+
     def __call__(self, text: str) -> list[int]:
         if self.fast is None or self.odd(text):
             return self.slow.encode(text, add_special_tokens=False).ids

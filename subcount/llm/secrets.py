@@ -295,7 +295,7 @@ def fit_texts(texts: list[str], lines: int = 3000, width: int = 64) -> Field:
     return Field().fit(with_[:lines] + [without[k] for k in keep])
 
 
-def scan_texts(texts: list[str | None], field: Field, chars: int = 1 << 19, least: int = LEAST) -> list[tuple[list, list]]:
+def scan_texts(texts: list[str | None], field: Field, chars: int = 1 << 17, least: int = LEAST) -> list[tuple[list, list]]:
     """(base spans, added spans) of each text; texts are laid out together up to about `chars` code points."""
     out: list[tuple[list, list]] = []
     group: list[str] = []

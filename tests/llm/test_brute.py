@@ -287,6 +287,20 @@ def test_chat_query_runs_through_the_fold(spark):
     assert "regenerate" in plan and plan.count("collect_list(") >= 2 and "Python" not in plan and "Arrow" not in plan
 
 
+def test_bloom_filter_holds_all_ids_and_few_others(spark):
+    from subcount.llm.common import maybe_among
+
+    ids = spark.range(0, 60_000, 7).select(F.col("id").alias("x"))
+    df = spark.range(-5, 60_000)
+    got = {r["id"] for r in df.where(maybe_among(ids)(F.col("id"))).collect()}
+    have = set(range(0, 60_000, 7))
+    assert have <= got and len(got - have) < 0.01 * 60_000
+    full = {r["id"] for r in df.where(maybe_among(ids, most_bits=1 << 10)(F.col("id"))).collect()}
+    assert have <= full  # too small a filter loses none
+    assert not df.where(maybe_among(ids.limit(0))(F.col("id"))).count()
+    assert not spark.createDataFrame([(None,)], "id long").where(maybe_among(ids)(F.col("id"))).count()
+
+
 def test_empty_tables(spark):
     docs = spark.createDataFrame([], "doc_id long, text string, lang string, source string, bands string")
     items = spark.createDataFrame([], "item_id long, text string")
