@@ -7,10 +7,10 @@ Equal texts take the least source, language and id of their group, so they lie t
 group only if it is too heavy to stay whole. A node of k shards is cut where its bytes stand k // 2 to the rest.
 The cut is found by descending the key's bits, 12 at a time, for all nodes of a level in one job: bytes are summed by
 (node, bucket), at most 4096 buckets a node, and one row a node comes back: the bucket that holds the median. It stops
-when that bucket is too light to matter. Cuts go to the rows as broadcast tables of one row per node of a level, so
-what is sent and collected is bounded by the number of shards.
+when that bucket is too light to matter. Cuts go to the rows as arrays in the plan of one value per node of a level,
+above 1024 nodes as broadcast tables, so what is sent and collected is bounded by the number of shards.
 
-Texts are read once; the tree works on a narrow table in the shared folder. Slots are numbered within
+Texts are read once; the tree works on a narrow table in the shared folder, written again after each level. Slots are numbered within
 (shard, id-hash) parts whose offsets come from counts, so no task gathers a shard.
 
 Defined cases: null text has 0 bytes and crc32 0; null source, language or id are values of their own; rows
@@ -35,6 +35,7 @@ BITS, OWN_BITS, STEP = 62, 20, 12  # all, those of the id alone, those of one jo
 TOLERANCE = 0.001  # of a shard's bytes: lighter buckets need no further look
 GROUP_TOLERANCE = 0.01  # groups of equal texts up to this share of a shard stay whole at a cut
 PART_ROWS = 500_000
+INLINE = 1024  # nodes whose values are arrays in the plan
 
 
 @dataclass
@@ -51,19 +52,23 @@ class Node:
     def leaves(self) -> list[Node]:
         return [self] if self.dim is None else [x for s in self.sides for x in s.leaves()]
 
-    def levels(self) -> list[list[Node]]:
-        """The cut nodes, level by level."""
-        out, now = [], [self]
-        while now := [n for n in now if n.dim is not None]:
-            out.append(now)
-            now = [x for n in now for x in n.sides]
-        return out
 
+def _look_up(rows: DataFrame, nodes: list[int], columns: dict[str, tuple[str, list]]) -> DataFrame:
+    """rows with the values of their node (column `node`), null at other nodes; columns: name, its type and a value per node.
 
-def _small(rows: DataFrame, columns: dict[str, list], kinds: list[pa.DataType]) -> DataFrame:
-    """A broadcast table of a row per node."""
-    table = pa.table({k: pa.array(v, t) for (k, v), t in zip(columns.items(), kinds)})
-    return F.broadcast(rows.sparkSession.createDataFrame(table))
+    Nodes whose numbers lie within INLINE of each other give arrays in the plan, more a broadcast table.
+    """
+    low, high = min(nodes), max(nodes)
+    if high - low < INLINE:
+        at = [n - low for n in nodes]
+        for name, (kind, values) in columns.items():
+            known = dict(zip(at, values))
+            cells = ", ".join("null" if i not in known else repr(known[i]) + ("D" if kind == "double" else "") for i in range(high - low + 1))
+            rows = rows.withColumn(name, F.get(F.expr(f"cast(array({cells}) as array<{kind}>)"), (F.col("node") - low).cast("int")))
+        return rows
+    kinds = {"double": pa.float64(), "int": pa.int32(), "bigint": pa.int64()}
+    table = pa.table({"node": pa.array(nodes, pa.int64()), **{k: pa.array(v, kinds[t]) for k, (t, v) in columns.items()}})
+    return rows.join(F.broadcast(rows.sparkSession.createDataFrame(table)), "node", "left")
 
 
 def _key(dim: str) -> Column:
@@ -71,17 +76,11 @@ def _key(dim: str) -> Column:
     return F.element_at(F.array(*[F.col(f"k_{d}") for d in DIMENSIONS]), F.col(dim) + 1)
 
 
-def at_nodes(rows: DataFrame, root: Node) -> DataFrame:
-    """rows with `node`, the path number of their leaf."""
-    out = rows.withColumn("node", F.lit(root.path).cast("long"))
-    levels = root.levels()
-    if levels:
-        out = rows.withColumn("node", 2 * root.path + (F.col(f"k_{root.dim}") >= root.cut).cast("long"))
-    for level in levels[1:]:
-        cuts = _small(rows, {"node": [n.path for n in level], "dim": [DIMENSIONS.index(n.dim) for n in level], "cut": [n.cut for n in level]}, [pa.int64(), pa.int32(), pa.int64()])
-        down = 2 * F.col("node") + (_key("dim") >= F.col("cut")).cast("long")
-        out = out.join(cuts, "node", "left").withColumn("node", F.when(F.col("dim").isNull(), F.col("node")).otherwise(down)).drop("dim", "cut")
-    return out
+def descend(rows: DataFrame, cut: list[Node]) -> DataFrame:
+    """rows whose `node` is one of the nodes go to the side of its cut."""
+    rows = _look_up(rows, [n.path for n in cut], {"dim": ("int", [DIMENSIONS.index(n.dim) for n in cut]), "cut": ("bigint", [n.cut for n in cut])})
+    down = 2 * F.col("node") + (_key("dim") >= F.col("cut")).cast("long")
+    return rows.withColumn("node", F.when(F.col("dim").isNull(), F.col("node")).otherwise(down)).drop("dim", "cut")
 
 
 def points(docs: DataFrame) -> DataFrame:
@@ -122,8 +121,11 @@ def points(docs: DataFrame) -> DataFrame:
     )
 
 
-def grow(rows: DataFrame, shards: int = SHARDS, tolerance: float = TOLERANCE) -> Node:
-    """The tree over points(), from jobs that return a row per node."""
+def grow(rows: DataFrame, shards: int = SHARDS, tolerance: float = TOLERANCE) -> tuple[Node, DataFrame]:
+    """The tree over points(), from jobs that return a row per node, and the rows with `node`, the number of their leaf.
+
+    Rows are written again after each level, so a job finds its node beside the keys.
+    """
     keys = {d: F.col(f"k_{d}") for d in DIMENSIONS}
 
     def widths():
@@ -131,12 +133,11 @@ def grow(rows: DataFrame, shards: int = SHARDS, tolerance: float = TOLERANCE) ->
             yield (F.approx_count_distinct(F.shiftright(k, BITS - 20)) - 1 if d in NOMINAL else F.max(k) - F.min(k)).alias(d)
 
     first = rows.agg(F.sum("size").alias("all"), *widths()).first()
-    root = Node(0, shards, 1)
+    root, at = Node(0, shards, 1), rows.withColumn("node", F.lit(1).cast("long"))
     if not first["all"]:
-        return root
+        return root, at
     enough = tolerance * first["all"] / shards
     while todo := [n for n in root.leaves() if n.count > 1]:
-        at = at_nodes(rows, root)
         spread = {r["node"]: r for r in at.groupBy("node").agg(F.sum("size").alias("w"), *widths()).collect()}
         goal, base, prefix, chosen = {}, {}, {}, {}
         for n in todo:
@@ -147,13 +148,12 @@ def grow(rows: DataFrame, shards: int = SHARDS, tolerance: float = TOLERANCE) ->
         while active:
             step = min(STEP, shift - OWN_BITS if shift > OWN_BITS else shift)
             state = {
-                "node": active,
-                "dim": [DIMENSIONS.index(chosen[p]) for p in active],
-                "prefix": [prefix[p] for p in active],
-                "base": [base[p] for p in active],
-                "goal": [goal[p] for p in active],
+                "dim": ("int", [DIMENSIONS.index(chosen[p]) for p in active]),
+                "prefix": ("bigint", [prefix[p] for p in active]),
+                "base": ("bigint", [base[p] for p in active]),
+                "goal": ("double", [goal[p] for p in active]),
             }
-            part = at.join(_small(rows, state, [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.float64()]), "node")
+            part = _look_up(at, active, state)
             part = part.where(F.shiftright(_key("dim"), shift) == F.col("prefix"))
             shift -= step
             sums = part.groupBy("node", F.shiftright(_key("dim"), shift).alias("bucket")).agg(F.sum("size").alias("w"), F.first("base").alias("base"), F.first("goal").alias("goal"))
@@ -170,7 +170,8 @@ def grow(rows: DataFrame, shards: int = SHARDS, tolerance: float = TOLERANCE) ->
             half = n.count // 2
             n.dim, n.cut = chosen[n.path], cuts[n.path]
             n.sides = [Node(n.first, half, 2 * n.path), Node(n.first + half, n.count - half, 2 * n.path + 1)]
-    return root
+        at = materialize(descend(at, todo))
+    return root, at
 
 
 def shard(docs: DataFrame, shards: int | None = SHARDS, target_bytes: int | None = None) -> DataFrame:
@@ -179,12 +180,12 @@ def shard(docs: DataFrame, shards: int | None = SHARDS, target_bytes: int | None
     count, total = rows.agg(F.count("*"), F.sum("size")).first()
     if target_bytes:
         shards = max(1, -(-(total or 0) // target_bytes))
-    tree = grow(rows, shards)
+    tree, at = grow(rows, shards)
     leaves = tree.leaves()
-    names = _small(rows, {"node": [n.path for n in leaves], "shard": [n.first for n in leaves]}, [pa.int64(), pa.int64()])
+    named = _look_up(at, [n.path for n in leaves], {"shard": ("bigint", [n.first for n in leaves])})
     parts = max(8, -(-count // (shards * PART_ROWS)))
     part = F.pmod(F.xxhash64("doc_id", "text_crc32"), F.lit(parts)).alias("part")
-    placed = at_nodes(rows, tree).join(names, "node").select("doc_id", "size", "text_crc32", "shard", part)
+    placed = named.select("doc_id", "size", "text_crc32", "shard", part)
     counts = placed.groupBy("shard", "part").count()
     before = Window.partitionBy("shard").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     offsets = counts.select("shard", "part", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("offset"))

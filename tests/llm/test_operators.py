@@ -198,12 +198,19 @@ def test_kd_tree_equals_a_plain_one(spark):
         check(node.sides[0], mine[low])
         check(node.sides[1], mine[~low])
 
-    tree = kdtree.grow(rows, 6, tolerance=0)
+    tree, placed = kdtree.grow(rows, 6, tolerance=0)
     check(tree, points)
-    got = kdtree.at_nodes(rows, tree).groupBy("node").count().collect()
+    got = placed.groupBy("node").count().collect()
     assert {r["node"] for r in got} <= {n.path for n in tree.leaves()} and sum(r["count"] for r in got) == len(points)
 
 
+def test_kd_shards_are_the_same_by_arrays_and_broadcast(spark, odd, monkeypatch):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").drop("n_chars").unionByName(odd.drop("size"))
+    want = sorted(map(str, kdtree.shard(docs, 5).collect()))
+    monkeypatch.setattr(kdtree, "INLINE", 0)
+    assert sorted(map(str, kdtree.shard(docs, 5).collect())) == want
+
+
 def test_kd_leaves_reach_the_target_bytes(spark):
     docs = spark.read.parquet(f"{SF}/documents.parquet")
     got = kdtree.shard(docs, target_bytes=30_000).toPandas()
