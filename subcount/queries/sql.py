@@ -142,9 +142,9 @@ def outdegree(graph: str, how: str) -> str:
 
 
 def stalled(graph: str) -> str:
-    """What a constant threshold one under the degeneracy leaves is what the wave of that bound finds."""
-    left = "(SELECT {} FROM wk WHERE least = core ORDER BY it LIMIT 1)"
-    return on(graph, ARCS, *WAVES, select=f"SELECT '{graph}' AS graph, CAST(core - 1 AS INTEGER) AS bound, true AS stalled, {left.format('n')} AS left_vertices, {left.format('m')} AS left_edges FROM core")
+    """What a constant threshold one under the degeneracy leaves is what the wave of that bound finds; without an edge nothing is left."""
+    left = "coalesce((SELECT {} FROM wk WHERE least = core ORDER BY it LIMIT 1), 0)"
+    return on(graph, ARCS, *WAVES, select=f"SELECT '{graph}' AS graph, CAST(core - 1 AS INTEGER) AS bound, core > 0 AS stalled, {left.format('n')} AS left_vertices, {left.format('m')} AS left_edges FROM core")
 
 
 MODEL_ROUNDS = "CASE WHEN big <= s THEN 1 ELSE 1 + ceil(round(ln(greatest(big, 2)) / ln(greatest(s, 2.0)), 9)) + 2 * ceil(round(ln(greatest(big, 2)) / ln(greatest(s / 2, 2.0)), 9)) END"
