@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import zlib
 from collections.abc import Callable, Iterator
 
@@ -103,6 +106,15 @@ def maybe_among(ids: DataFrame, most_bits: int = 1 << 27) -> Callable[[Column],
     return lambda col: col.isNotNull() & passes(F.xxhash64(col))
 
 
+def give_back(model):
+    """model; before, memory that its fit has freed goes back to the system, where the C library can do that."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+    return model
+
+
 def remainder(doc_id, n: int) -> int:
     """crc32 of the id as text, modulo n: the split rule of the learned operators."""
     return zlib.crc32(str(doc_id).encode()) % n

@@ -30,7 +30,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import map_columns, rewrite_batches, sample_rows
+from .common import give_back, map_columns, rewrite_batches, sample_rows
 
 BOUND = 1500
 # Fixed patterns of the base scan, with the least length of the match (of group 2 for assignments).
@@ -272,7 +272,7 @@ class Field:
 def fit(docs: DataFrame, bound: int = BOUND, lines: int = 3000, width: int = 64) -> Field:
     """A field from at most `bound` documents: their lines with secrets and a like number of others."""
     texts = [r["text"] for r in sample_rows(docs.select("doc_id", "text").where("text is not null"), "doc_id", bound)]
-    return fit_texts(texts, lines, width)
+    return give_back(fit_texts(texts, lines, width))
 
 
 def fit_texts(texts: list[str], lines: int = 3000, width: int = 64) -> Field:

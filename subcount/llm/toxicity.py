@@ -19,13 +19,14 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
+from collections.abc import Collection, Iterable
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_columns, remainder, remainder_col, rewrite_batches, sample_rows
+from .common import give_back, map_columns, remainder, remainder_col, rewrite_batches, sample_rows
 
 BOUND = 6000
 # Second-person words of English, German, French and Spanish.
@@ -44,11 +45,12 @@ FEATURES = 14
 class Lexicon:
     """Document counts of words in labelled rows; which words are in it when one row is left out."""
 
-    def __init__(self, rows: list[tuple[Counter, int]], strong: float = 2.0, weak: float = 1.0, least: int = 3, share: float = 0.01):
-        self.n = [sum(1 for _, y in rows if y == k) for k in (0, 1)]
+    def __init__(self, rows: Iterable[tuple[Collection[str], int]], strong: float = 2.0, weak: float = 1.0, least: int = 3, share: float = 0.01):
+        self.n = [0, 0]
         seen = [Counter(), Counter()]
         for words, y in rows:
-            seen[y].update(words.keys())
+            self.n[y] += 1
+            seen[y].update(words)
         self.strong, self.weak, self.least = strong, weak, max(least, share * self.n[1])
         self.seen = {w: (seen[0][w], c) for w, c in seen[1].items() if c >= self.least}
         self.tiers = {w: t for w in self.seen if (t := self.tier(w, *self.seen[w], *self.n))}
@@ -60,7 +62,7 @@ class Lexicon:
         odds -= 1.5 * math.sqrt(1 / (toxic + 0.5) + 1 / (clean + 0.5))  # a low bound: rare words must not enter by chance
         return 2 if odds >= self.strong else 1 if odds >= self.weak else 0
 
-    def without(self, words: Counter, y: int) -> dict[str, int]:
+    def without(self, words: Collection[str], y: int) -> dict[str, int]:
         """The tiers of these words as they are without one training row that holds them."""
         out = {}
         for w in words:
@@ -187,20 +189,23 @@ def isotonic(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 class Model:
     def __init__(self, rows: list[tuple[str | None, int]]):
-        """rows: (text, label). Two thirds grow the trees, one third calibrates them."""
-        kept = [(words_of(t or ""), t, int(y)) for t, y in rows]
-        counts = [(Counter(w), y) for w, _, y in kept]
-        self.lexicon = Lexicon(counts)
-        self.tiers, self.prior, self.trees = self.lexicon.tiers, float(np.mean([y for *_, y in kept])) if kept else 0.0, None
-        if len({y for *_, y in kept}) == 2:
-            x = np.array([features(t, self.lexicon.without(c, y), w) for (w, t, y), (c, _) in zip(kept, counts)])
-            y = np.array([y for *_, y in kept], float)
+        """rows: (text, label). Two thirds grow the trees, one third calibrates them. The driver holds the words of one
+        text at a time: texts are split again for their features."""
+        lexicon = Lexicon((set(words_of(t or "")), int(y)) for t, y in rows)
+        self.tiers, self.prior, self.trees = lexicon.tiers, float(np.mean([int(y) for _, y in rows])) if rows else 0.0, None
+        if len({int(y) for _, y in rows}) == 2:
+
+            def left_out(t: str | None, y: int) -> list[float]:
+                words = words_of(t or "")
+                return features(t, lexicon.without(set(words), y), words)
+
+            x = np.array([left_out(t, int(y)) for t, y in rows])
+            y = np.array([int(y) for _, y in rows], float)
             third = np.arange(len(y)) % 3
             grow, rest = (third < 2, third == 2) if y[third < 2].sum() >= 4 and y[third == 2].sum() >= 4 else (third >= 0, third >= 0)
             self.trees = Trees().fit(x[grow], y[grow])
             m = self.trees.margin(x[rest])
             self.knots = isotonic(m, y[rest])
-        del self.lexicon
 
     def scores(self, texts: list[str | None]) -> np.ndarray:
         if self.trees is None or not texts:
@@ -219,7 +224,9 @@ def fit(docs: DataFrame, labels: DataFrame, bound: int = BOUND) -> Model:
     spark = docs.sparkSession
     ids = spark.createDataFrame([(i,) for i in want], "doc_id long")
     rows = docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id", "left_semi").groupBy("doc_id").agg(F.min("text").alias("text")).collect()
-    return Model([(r["text"], want[r["doc_id"]]) for r in sorted(rows, key=lambda r: r["doc_id"])])
+    model = Model([(r["text"], want[r["doc_id"]]) for r in sorted(rows, key=lambda r: r["doc_id"])])
+    del rows
+    return give_back(model)
 
 
 def score(docs: DataFrame, model: Model) -> DataFrame:

@@ -362,3 +362,16 @@ def test_pipeline_keeps_and_drops(spark):
     assert 0.5 * docs.count() < n < docs.count()
     packed = corpus_pipeline.run(spark, SF)
     assert packed.select("doc_id").distinct().count() == n
+
+
+def test_toxicity_fit_holds_the_words_of_one_text_at_a_time():
+    import random
+    import tracemalloc
+
+    r = random.Random(3)
+    rows = [(" ".join(r.choice("abcdefgh") * r.randrange(2, 9) for _ in range(400)), i % 2) for i in range(300)]
+    tracemalloc.start()
+    toxicity.Model(rows)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 3_000_000, peak  # 0.7 MB of text; 120 000 words of all texts take over 7 MB
