@@ -55,3 +55,12 @@ def test_stats_of_a_dense_graph_shuffle_no_wedges(spark, monkeypatch, no_broadca
     stats = experiments.graph_stats(spark, "", "dense")
     assert tuple(stats.first()) == ("dense", 150, comb(150, 2), comb(150, 3), 149)
     assert measures.run_cost(stats)["shuffle_written"] < 500_000
+
+
+def test_theory_row_counts_triangles_in_blocks(spark, monkeypatch):
+    from subcount.operators import exact
+    from subcount.queries import graph as queries
+
+    monkeypatch.setattr(exact, "close_wedges", lambda *a, **b: pytest.fail("wedges became rows"))
+    for name in ("msr_theory_copurchase", "exp_scaling_tripartite"):
+        assert queries.QUERIES[name](spark, "/root/testdata/sf0.001").count() >= 1
