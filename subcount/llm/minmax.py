@@ -339,13 +339,13 @@ def link(docs: DataFrame, width: int = SHINGLE, bands: int = BANDS, rows: int =
     for turn in range(rounds):
         buckets = mixed(buckets, labels)
         hub = buckets.groupBy("key").agg((F.min("id") if turn == 0 else F.max_by("id", F.xxhash64("id", F.lit(turn)))).alias("hub"))
-        dealt = buckets.join(hub, "key")
-        pairs = apart(dealt.where("id <> hub").select(F.least("id", "hub").alias("a"), F.greatest("id", "hub").alias("b")).distinct(), labels)
+        dealt = materialize(buckets.join(hub, "key").where("id <> hub"))  # one row of each member of a bucket, read three times
+        pairs = apart(dealt.select(F.least("id", "hub").alias("a"), F.greatest("id", "hub").alias("b")).distinct(), labels)
         pairs = materialize(likely(pairs, marks, percent))
         best = pairs.groupBy("b").agg(F.max_by("a", F.struct("score", -F.col("a"))).alias("a"))
         labels = contracted(labels, confirmed(best, texts, percent, width))
         labels = contracted(labels, confirmed(apart(pairs, labels).join(best, ["a", "b"], "left_anti"), texts, percent, width))
-        buckets = dealt.where("id <> hub").select("key", "id")
+        buckets = dealt.select("key", "id")
     left = mixed(buckets, labels)
     if not left.isEmpty():
         keys = left.groupBy("id").agg(F.sort_array(F.collect_set("key")).alias("keys"))

@@ -285,6 +285,41 @@ def test_one_block_links_each_member_once(spark):
     assert minmax.across(members, texts, 75).count() == 29
 
 
+def hub_rows(spark, since):
+    """Rows given by joins of members to their bucket's hub in executions from `since` on."""
+    store, total = spark._jsparkSession.sharedState().statusStore(), 0
+    for k in range(since, store.executionsCount()):
+        execution = store.executionsList().apply(k).executionId()
+        nodes, values = store.planGraph(execution).allNodes(), store.executionMetrics(execution)
+        for i in range(nodes.size()):
+            if "Join" in nodes.apply(i).name() and "(id" in nodes.apply(i).desc() and "= hub" in nodes.apply(i).desc():
+                for j in range(nodes.apply(i).metrics().size()):
+                    metric = nodes.apply(i).metrics().apply(j)
+                    if metric.name() == "number of output rows" and values.contains(metric.accumulatorId()):
+                        total += int(values.apply(metric.accumulatorId()).replace(",", ""))
+    return total
+
+
+@pytest.mark.parametrize("copies", (30, 60))
+def test_members_of_a_bucket_meet_its_hub_once_a_turn(spark, copies):
+    """A group of near copies gives a row a member and bucket in each turn, not one more for each use of the join."""
+    rng = random.Random(copies)
+    base = [f"w{i}" for i in range(400)]
+    rows = []
+    for i in range(copies):
+        words = list(base)
+        for at in rng.sample(range(400), 3):
+            words[at] = f"x{rng.random()}"
+        rows.append((i, " ".join(words)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    keys = minmax.signatures(docs).select("doc_id", F.explode("bands").alias("key")).distinct()
+    members = keys.join(keys.groupBy("key").count().where("count > 1"), "key").count()
+    since = spark._jsparkSession.sharedState().statusStore().executionsCount()
+    got = minmax.link(docs)
+    assert 0 < hub_rows(spark, since) <= members
+    assert {r.component_id for r in got.collect()} == {0}
+
+
 def test_near_duplicates_of_families_just_under_and_over_the_threshold(spark):
     """Chains of texts near 0.75, long and repeated texts, repeated and null ids: components as by brute force."""
     r = random.Random(16)
