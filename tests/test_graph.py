@@ -7,6 +7,7 @@ from itertools import combinations
 from math import comb
 
 import pytest
+from pyspark.sql import functions as F
 
 from subcount import graphs, model
 from subcount.operators import approx, baselines, cliques, exact, hashing, measures, orient, patterns, peel, primitives
@@ -166,3 +167,30 @@ def test_flagship(spark):
     import __spark_entry__
 
     assert __spark_entry__.entry(spark).first()[0] == 50463
+
+
+def test_waves_in_memory_equal_written_ones(spark, monkeypatch):
+    rng = random.Random(3)
+    e = sources.pairs(spark, [(rng.randrange(60) * 10**12, rng.randrange(60) * 10**12 - 5) for _ in range(300)] + [(1, 2), (2, 3), (3, 4), (9, 8)])
+    monkeypatch.setattr(orient, "LOCAL_ARCS", 0)
+    written, k = orient.waves(e)
+    for most in (200, 10**6):  # handed over on the way, and at once
+        monkeypatch.setattr(orient, "LOCAL_ARCS", most)
+        got, core = orient.waves(e)
+        assert core == k and sorted(map(tuple, got.collect())) == sorted(map(tuple, written.collect()))
+    assert orient.degeneracy(sources.pairs(spark, [(1, 1)])).first()[0] == 0
+
+
+def test_long_bands_are_not_peeled_by_a_table_a_wave(spark, monkeypatch):
+    """A band of more than a million arcs loses two vertices a wave; its tables are few all the same."""
+    real, written = orient.materialize, []
+
+    def counted(df):
+        written.append(df)
+        if len(written) > 4:
+            raise AssertionError("a table a wave")
+        return real(df)
+
+    e = real(spark.range(70_000).select(F.col("id").alias("src"), F.explode(F.sequence(F.col("id") + 1, F.col("id") + 8)).alias("dst")))
+    monkeypatch.setattr(orient, "materialize", counted)
+    assert orient.degeneracy(e).first()[0] == 8
