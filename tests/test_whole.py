@@ -293,3 +293,8 @@ def test_local_folders_are_for_local_sessions_only():
     with pytest.raises(RuntimeError):
         checkpoint_dir(fake("spark://host:7077", None))
     assert checkpoint_dir(fake("spark://host:7077", "/shared/x/")) == "/shared/x" and checkpoint_dir(fake("local[4]", None))
+
+
+def test_shared_lines_are_not_shuffled_as_text(spark):
+    plan = graphs.sharedline(spark, SF)._jdf.queryExecution().executedPlan().toString()
+    assert not [x for x in plan.splitlines() if "Exchange" in x and "line#" in x]
