@@ -9,7 +9,8 @@ from math import comb
 import pytest
 
 from subcount import model
-from subcount.operators import blocks, cliques, experiments, measures
+from subcount.operators import blocks, cliques, exact, experiments, measures, peel
+from subcount.sources import edges as sources
 
 
 def graph(n, p, seed=3):
@@ -64,3 +65,18 @@ def test_theory_row_counts_triangles_in_blocks(spark, monkeypatch):
     monkeypatch.setattr(exact, "close_wedges", lambda *a, **b: pytest.fail("wedges became rows"))
     for name in ("msr_theory_copurchase", "exp_scaling_tripartite"):
         assert queries.QUERIES[name](spark, "/root/testdata/sf0.001").count() >= 1
+
+
+def test_rounds_hear_in_blocks_what_messages_tell(spark):
+    """The trace equals the one of message rows in every round, on ids that are hashes and where peeling stalls; and
+    its plan joins no arcs to arcs."""
+    rng = random.Random(11)
+    ids = [rng.randrange(-(1 << 62), 1 << 62) for _ in range(60)]
+    e = sources.pairs(spark, [tuple(rng.choices(ids, k=2)) for _ in range(500)] + [tuple(rng.choices(ids[:12], k=2)) for _ in range(150)])
+    for gamma in (peel.schedule("from_bound", 5), peel.schedule("constant", 9), peel.schedule("constant", 14), peel.schedule("plain")):
+        t = peel.rounds(e, gamma)
+        got = {r["round"]: (r["found2"], r["found4"], r["found6"]) for r in exact.duplicates_trace(e, gamma, t).collect()}
+        assert got == {r.number: tuple(exact.class_totals(r).first()) for r in t.rounds}
+    assert exact.count_by_duplicates(e, peel.schedule("from_bound", 5)).first()[0] == exact.count_by_rank(e).first()[0] > 0
+    plan = exact.duplicates_trace(e, peel.schedule("from_bound", 5))._jdf.queryExecution().optimizedPlan().toString()
+    assert "w#" not in plan and "MapInArrow" in plan
