@@ -32,3 +32,17 @@ def test_rows_come_from_the_table(spark, tmp_path, name, table):
         got[d] = sorted(map(tuple, rows))
         assert got[d] == sorted(c.execute(__spark_entry__.oracle_sql()[name]).fetchall())
     assert got[SF] != got[str(tmp_path)]
+
+
+@pytest.mark.parametrize("name,table,part", [("src_generated_clique", "lineitem", "l_quantity < 20"), ("st_rate_source", "events", "user_id % 3 > 0"), ("pat_catalogue", "region", "r_regionkey < 4")])
+def test_patterns_numbers_and_cliques_come_from_the_table(spark, tmp_path, name, table, part):
+    import __spark_entry__
+
+    spark.read.parquet(f"{SF}/{table}.parquet").where(part).write.parquet(f"{tmp_path}/{table}.parquet")
+    got = []
+    for d, files in ((SF, ""), (str(tmp_path), "/*.parquet")):
+        c = duckdb.connect()
+        c.execute(f"CREATE VIEW {table} AS SELECT * FROM '{d}/{table}.parquet{files}'")
+        got.append(sorted(map(tuple, __spark_entry__.queries()[name](spark, d).collect())))
+        assert got[-1] == sorted(c.execute(__spark_entry__.oracle_sql()[name]).fetchall())
+    assert got[0] != got[1]
