@@ -9,7 +9,7 @@ from math import comb
 import pytest
 
 from subcount import model
-from subcount.operators import blocks, cliques, exact, experiments, measures, peel
+from subcount.operators import blocks, cliques, exact, experiments, measures, patterns, peel
 from subcount.sources import edges as sources
 
 
@@ -80,3 +80,11 @@ def test_rounds_hear_in_blocks_what_messages_tell(spark):
     assert exact.count_by_duplicates(e, peel.schedule("from_bound", 5)).first()[0] == exact.count_by_rank(e).first()[0] > 0
     plan = exact.duplicates_trace(e, peel.schedule("from_bound", 5))._jdf.queryExecution().optimizedPlan().toString()
     assert "w#" not in plan and "MapInArrow" in plan
+
+
+@pytest.mark.parametrize("name", ("triangle", "k4"))
+def test_complete_patterns_make_no_wedge_rows(spark, name):
+    e = frame(spark, graph(40, 0.4))
+    got = patterns.count(e, name)
+    assert got.columns == ["copies"] and got.first()[0] == patterns.brute(e, name).first()[0] > 0
+    assert "Join" not in got._jdf.queryExecution().optimizedPlan().toString()
