@@ -88,3 +88,14 @@ def test_complete_patterns_make_no_wedge_rows(spark, name):
     got = patterns.count(e, name)
     assert got.columns == ["copies"] and got.first()[0] == patterns.brute(e, name).first()[0] > 0
     assert "Join" not in got._jdf.queryExecution().optimizedPlan().toString()
+
+
+@pytest.mark.parametrize("c", (3, None))
+def test_patterns_of_four_vertices_are_counted_in_blocks(spark, c):
+    """Also on ids that are hashes, on a hub and without edges; the plan of the 4-cycles joins nothing to make wedges."""
+    hub = [(0, x) for x in range(1, 40)] + graph(40, 0.15)
+    hashes = spark.createDataFrame([(hash((a, 1)), hash((b, 1))) for a, b in graph(25, 0.4)], "src long, dst long")
+    for e in (frame(spark, graph(25, 0.5)), model.canonical(frame(spark, hub)), model.canonical(hashes), frame(spark, [])):
+        got = blocks.fours(e, c).first().asDict()
+        assert got == {name: patterns.brute(e, name).first()[0] for name in blocks.FOURS}
+    assert "Join" not in patterns.count(e, "cycle4")._jdf.queryExecution().optimizedPlan().toString()
