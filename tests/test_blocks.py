@@ -99,3 +99,27 @@ def test_patterns_of_four_vertices_are_counted_in_blocks(spark, c):
         got = blocks.fours(e, c).first().asDict()
         assert got == {name: patterns.brute(e, name).first()[0] for name in blocks.FOURS}
     assert "Join" not in patterns.count(e, "cycle4")._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_rounds_are_traced_without_tables_of_a_round(spark, monkeypatch):
+    """In memory, and in written tables that go with their round, as peel.rounds tells them; also where peeling stalls."""
+    from subcount.operators import orient
+
+    e = model.canonical(sources.pairs(spark, [(a * a % 61, b) for a, b in graph(60, 0.2)]))
+    kinds = [("from_bound", 3), ("constant", 9), ("constant", 4)]
+    want = [[(r.number, r.gamma, r.n, r.edges, r.peeled, r.messages) for r in peel.rounds(e, peel.schedule(*s)).rounds] for s in kinds]
+    assert orient.traces(e, kinds, most=0) == want
+    monkeypatch.setattr(peel, "materialize", lambda *a: pytest.fail("a round became a table"))
+    assert orient.traces(e, kinds) == want and any(want)
+
+
+def test_rows_near_in_time_are_dealt_once(spark):
+    """At the ends of buckets, before time 0 and with repeats, and the plan joins nothing."""
+    from subcount import graphs
+
+    r = random.Random(5)
+    rows = [(r.randrange(3), r.randrange(40), r.randrange(-200, 200)) for _ in range(300)] + [(0, 99, t) for t in (-45, -44, -1, 0, 43, 44, 54)] * 2
+    want = {(min(x, y), max(x, y)) for k, x, t in rows for l, y, u in rows if k == l and x != y and abs(t - u) <= 10}
+    near = graphs.near_in_time(spark.createDataFrame(rows, "k long, who long, at long"), "k", "who", "at", 10)
+    assert sorted(map(tuple, near.collect())) == sorted(want)
+    assert "Join" not in near._jdf.queryExecution().optimizedPlan().toString()
