@@ -123,3 +123,29 @@ def test_rows_near_in_time_are_dealt_once(spark):
     near = graphs.near_in_time(spark.createDataFrame(rows, "k long, who long, at long"), "k", "who", "at", 10)
     assert sorted(map(tuple, near.collect())) == sorted(want)
     assert "Join" not in near._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_blocks_are_dealt_in_waves_from_a_packed_table(spark, monkeypatch):
+    """Repeats, loops and null ends go as pairs are packed, and every block is in one wave whose files go with it."""
+    pairs = graph(40, 0.4)
+    dirty = [(7 * b - 3, 7 * a - 3) for a, b in pairs] * 2 + [(7 * a - 3, 7 * b - 3) for a, b in pairs[::3]] + [(4, 4), (None, 4)]
+    cells = blocks.stored(spark.createDataFrame(dirty, "src long, dst long"))
+    e = frame(spark, pairs)
+    assert blocks.edges_of(cells) == len(pairs)
+    assert sorted(map(tuple, blocks.degrees_of(cells).collect())) == sorted(map(tuple, model.degrees(e).collect()))
+    want = [blocks.count(e, k).first()[0] for k in (3, 4)]
+    waves, dealt = [], blocks._in_blocks
+    monkeypatch.setattr(blocks, "_in_blocks", lambda *a: waves.append(a[-1]) or dealt(*a))
+    monkeypatch.setattr(blocks, "WAVE_EDGES", len(pairs))
+    assert [blocks.count_stored(cells, k).first()[0] for k in (3, 4)] == want
+    assert len(waves) == sum(blocks.copies(blocks.LEAST_COLOURS, k) for k in (3, 4))
+
+
+def test_an_orders_lines_are_dealt_once(spark, tmp_path):
+    from subcount import graphs
+
+    rows = [(1, 5), (1, 3), (1, 3), (1, None), (2, 9), (None, 1), (None, 2), (3, 7), (3, 5), (3, 3)]
+    spark.createDataFrame(rows, "l_orderkey long, l_partkey long").write.parquet(str(tmp_path / "lineitem.parquet"))
+    e = graphs.copurchase(spark, str(tmp_path))
+    assert sorted(map(tuple, e.collect())) == [(3, 5), (3, 7), (5, 7)]
+    assert "Join" not in e._jdf.queryExecution().optimizedPlan().toString()
