@@ -149,3 +149,60 @@ def test_an_orders_lines_are_dealt_once(spark, tmp_path):
     e = graphs.copurchase(spark, str(tmp_path))
     assert sorted(map(tuple, e.collect())) == [(3, 5), (3, 7), (5, 7)]
     assert "Join" not in e._jdf.queryExecution().optimizedPlan().toString()
+
+
+@pytest.mark.parametrize("k", (1, 1 << 45))
+def test_extended_edges_make_no_wedge_rows(spark, k):
+    """Triangles by (degree, id), also on ids that are negative or long."""
+    pairs = [(k * (a - 9), k * (b - 9)) if k > 1 else (a, b) for a, b in graph(30, 0.3) + [(0, x) for x in range(1, 30)]]
+    e = model.canonical(spark.createDataFrame(pairs, "src long, dst long"))
+    known = {frozenset(r) for r in e.collect()}
+    deg = {v: sum(v in x for x in known) for x in known for v in x}
+    want = [tuple(sorted(t, key=lambda v: (deg[v], v))) for t in combinations(sorted(deg), 3) if all(frozenset(x) in known for x in combinations(t, 2))]
+    t = blocks.extended(e.unionAll(e))
+    assert sorted(map(tuple, t.collect())) == sorted(want) and want
+    if k == 1:
+        assert "Join" not in t._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_cliques_of_four_are_triangles_in_links(spark, monkeypatch):
+    pairs = graph(40, 0.5)
+    known = set(pairs)
+    monkeypatch.setattr(blocks, "LINK_TRIANGLES", 300)
+    t = blocks.count4_by_links(blocks.stored(frame(spark, pairs)))
+    assert t.first()[0] == sum(all(x in known for x in combinations(t, 2)) for t in combinations(range(40), 4)) > 0
+    assert "Join" not in t._jdf.queryExecution().optimizedPlan().toString()
+    assert blocks.count4_by_links(blocks.stored(frame(spark, []))).first()[0] == 0
+
+
+@pytest.mark.parametrize("hash_", ("kwise", "mixed"))
+def test_samples_are_sent_packed(spark, monkeypatch, hash_):
+    """As memberships joined to both ends tell them, over more than one slice of samples, with overflows."""
+    from subcount.operators import approx
+
+    e = spark.createDataFrame(graph(60, 0.4), "src long, dst long")
+    p = approx.for_graph(e, mode="explicit", p=0.3, machines=90, k=6, space=int(0.09 * e.count()) + 12)
+    rows = approx.assign(e, p, 2, hash_=hash_)
+    fit = rows.join(approx.sizes(rows, p, 2).where("kept").select("rep", "i"), ["rep", "i"], "left_semi")
+    want = sorted(map(tuple, approx.scaled(rows, approx.triangles_within(fit), p, 2, 3).collect()))
+    monkeypatch.setattr(approx, "SLICE", 128)
+    monkeypatch.setattr(approx, "assign", lambda *a, **b: pytest.fail("sent edges became rows"))
+    assert sorted(map(tuple, approx.estimates(e, p, 2, hash_=hash_).collect())) == want and want[0][3] > 0
+
+
+def test_polynomials_by_halves_equal_division():
+    import numpy as np
+
+    from subcount.operators import hashing
+
+    x, c = np.array([0, 1, 2, hashing.P31 - 1, 12345678]), [hashing.P31 - 1, 7, hashing.P31 - 1, 0, 99]
+    want = [sum(k * int(v) ** (len(c) - 1 - i) for i, k in enumerate(c)) % hashing.P31 for v in x]
+    assert hashing.kwise_values(x, c, hashing.P31).tolist() == want
+
+
+def test_vectors_are_dealt_once(spark):
+    """No copy of a vector for each block: what is shuffled does not grow with the number of blocks."""
+    from subcount import graphs
+
+    plan = graphs.vecsim_pairs(spark, "/root/testdata/sf0.001", block=16)._jdf.queryExecution().optimizedPlan().toString()
+    assert "Generate explode" not in plan and "Join Cross" in plan or "Join Inner" in plan
