@@ -194,3 +194,28 @@ def test_long_bands_are_not_peeled_by_a_table_a_wave(spark, monkeypatch):
     e = real(spark.range(70_000).select(F.col("id").alias("src"), F.explode(F.sequence(F.col("id") + 1, F.col("id") + 8)).alias("dst")))
     monkeypatch.setattr(orient, "materialize", counted)
     assert orient.degeneracy(e).first()[0] == 8
+
+
+@pytest.mark.parametrize("shift, step", ((0, 1), (-(1 << 44), 1 << 40)))
+def test_degeneracy_of_large_graphs_without_a_table_for_each_wave(spark, monkeypatch, shift, step):
+    """By bounds of the core numbers in several parts, to the end or until the rest fits one task; also where there are too many vertices."""
+    from subcount.operators import cores
+    from subcount.storage import materialize
+
+    rng = random.Random(5)
+    mixed = [(rng.randrange(70), rng.randrange(70)) for _ in range(400)]
+    cliques = [(200 + a, 200 + b) for a, b in combinations(range(12), 2)] + [(211 + x, 212 + x) for x in range(20)]
+    pairs = cliques if shift else mixed
+    e = materialize(model.canonical(frame(spark, [(shift + step * a, shift + step * b) for a, b in pairs])))
+    m, want = e.count(), orient.waves(e)[1]
+    with monkeypatch.context() as patch:
+        patch.setattr(orient, "waves", lambda *a: pytest.fail("a wave at a time"))
+        patch.setattr(cores, "PART_ARCS", m // 2)
+        patch.setattr(cores, "CHUNK", 16)
+        for most, sweeps, wait in ((0, 8, 8), (m, 1, 0), (2 * m - 1, 1, 8)):
+            patch.setattr(orient, "LOCAL_ARCS", most)
+            patch.setattr(cores, "SWEEPS", sweeps)
+            patch.setattr(cores, "WAIT", wait)
+            assert orient.degeneracy(e).first()[0] == want
+    monkeypatch.setattr(cores, "MOST_VERTICES", 3)
+    assert cores.degeneracy(e, m, m, None) is None
