@@ -206,3 +206,31 @@ def test_vectors_are_dealt_once(spark):
 
     plan = graphs.vecsim_pairs(spark, "/root/testdata/sf0.001", block=16)._jdf.queryExecution().optimizedPlan().toString()
     assert "Generate explode" not in plan and "Join Cross" in plan or "Join Inner" in plan
+
+
+def test_repeated_long_values_are_packed_by_their_places():
+    import numpy as np
+
+    rng = np.random.default_rng(1)
+    code = np.sort((rng.integers(300, 400, 600) << blocks.ID_BITS) | rng.choice(90_000, 600, replace=False))
+    p, q = np.nonzero(np.triu(rng.random((600, 600)) < 0.2, 1))
+    for x in (code[p], code[q], -code[q], p, rng.integers(-(2**62), 2**62, 5000), code[:3], np.empty(0, np.int64)):
+        assert (blocks._swell(blocks._squeeze(x), len(x)) == x).all()
+    assert len(blocks._squeeze(code[q])) < 1.2 * len(q) < len(blocks._squeezed(code[q])) / 2
+
+
+def test_a_blocks_rows_are_sent_as_they_come(spark):
+    """A worker does not hold all that its block gives."""
+    import numpy as np
+    import pyarrow as pa
+
+    schema = pa.schema([("x", pa.int64()), ("mb", pa.int64())])
+
+    def work(block):
+        rss = lambda: int(open("/proc/self/statm").read().split()[1]) * 4096 >> 20
+        first = rss()
+        for _ in range(30):
+            yield pa.table({"x": np.arange(1 << 20), "mb": np.full(1 << 20, rss() - first)}, schema=schema)
+
+    rows = blocks._in_blocks(blocks.packed(frame(spark, [(1, 2), (2, 3), (1, 3)]), 1), 3, 1, work, "x long, mb long", schema)
+    assert tuple(rows.selectExpr("count(*)", "max(mb) < 250").first()) == (30 << 20, True)
